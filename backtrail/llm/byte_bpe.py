@@ -190,12 +190,13 @@ def decode(df: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id",
     return batches(df.select(F.col(id_col).alias("id"), ids.alias("ids")), _decoder(ranks_path, pattern), f"id {kind}, ids array<int>, decoded binary").withColumnRenamed("id", id_col)
 
 
-def digests(df: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
-    """Encodes and decodes ``documents``; the result is small: counts and digests of the ids and of the decoded bytes."""
+def digests(df: DataFrame, ranks_path: str, pattern: str, ids: bool = False) -> DataFrame:
+    """Encodes and decodes ``documents``: counts and digests of the ids and of the decoded bytes, with ``ids`` the ids too."""
     both = decode(encode(df, ranks_path, pattern), ranks_path, pattern)
     return both.select(
         "doc_id",
         F.size("ids").cast("long").alias("n_tokens"),
+        *(["ids"] if ids else []),
         F.sha2(F.array_join(F.col("ids").cast("array<string>"), " "), 256).alias("ids_sha256"),
         F.sha2("decoded", 256).alias("decoded_sha256"),
     )

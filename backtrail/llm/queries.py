@@ -5,7 +5,9 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from backtrail.llm import byte_bpe, chat, mixing, sharding, simhash, token_count
+from pyspark.sql import functions as F
+
+from backtrail.llm import byte_bpe, chat, mixing, pii, sharding, simhash, spotsigs, token_count
 from backtrail.llm.common import table
 from backtrail.llm.quality import QualityRules
 
@@ -25,6 +27,16 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_count.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), TOKEN_LIMIT)
 
 
+def op4_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spotsigs.compare_edited(table(spark, sf_dir, "documents"))
+
+
+def op5_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    field = pii.Field.train(pii.labelled_table(spark))
+    found = pii.find(table(spark, sf_dir, "documents"), field)
+    return found.select("doc_id", *(f"n_{k}" for k in pii.BASE), F.sha2("base_spans", 256).alias("base_sha256"), "spans")
+
+
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
@@ -49,7 +61,7 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op6_byte_bpe, op7_simhash, op8_sharding, op10_chat)}
+    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op4_spotsigs, op5_personal_data, op6_byte_bpe, op7_simhash, op8_sharding, op10_chat)}
 
 
 def oracle_sql() -> dict[str, str]:
