@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from backtrail.llm import byte_bpe, chat, mixing, pii, sharding, simhash, spotsigs, token_count
+from backtrail.llm import byte_bpe, chat, html_extract, mixing, pii, sharding, simhash, spotsigs, token_count
 from backtrail.llm.common import table
 from backtrail.llm.quality import QualityRules
 
@@ -49,6 +49,10 @@ def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id", sharding.shard_names())
 
 
+def op9_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(table(spark, sf_dir, "pages"))
+
+
 #: The conversation that the contract adds to the table.
 PLANTED = [(-7, turn, role, "\\### Assistant: </turn> ok") for turn, role in enumerate(("user", "assistant"))]
 
@@ -61,7 +65,7 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op4_spotsigs, op5_personal_data, op6_byte_bpe, op7_simhash, op8_sharding, op10_chat)}
+    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op4_spotsigs, op5_personal_data, op6_byte_bpe, op7_simhash, op8_sharding, op9_main_text, op10_chat)}
 
 
 def oracle_sql() -> dict[str, str]:
