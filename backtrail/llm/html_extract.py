@@ -159,7 +159,8 @@ class Reader:
             if words:
                 pairs = [self.word(w) for w in words]
                 at, signs = zip(*pairs)
-                out[i, PATH_SIZE : PATH_SIZE + WORD_SIZE] = np.bincount(at, signs, WORD_SIZE) / math.sqrt(len(words))
+                bag = np.bincount(at, signs, WORD_SIZE)
+                out[i, PATH_SIZE : PATH_SIZE + WORD_SIZE] = bag / max(1.0, math.sqrt(float(bag @ bag)))
             n = len(text)
             out[i, PATH_SIZE + WORD_SIZE :] = (
                 math.log1p(n) / 6, min(1.0, block.linked / n), 1.0 if text[-1] in ".!?:;\"'" else 0.0, min(1.0, 20 * sum(map(text.count, ".,;")) / n),

@@ -13,7 +13,7 @@ import numpy as np
 
 from backtrail.llm.html_extract import PATH_SIZE, PROPORTIONS, WEIGHTS, WORD_SIZE, Labeller, Reader, blocks, reversal
 
-HIDDEN, PAGES, EPOCHS, BATCH, RATE = 20, 4000, 14, 40, 0.01
+HIDDEN, PAGES, EPOCHS, BATCH, RATE = 20, 6000, 14, 40, 0.01
 MARK = "\x02"  # begins every block of the article in training pages
 
 _SYLLABLES = {
@@ -38,6 +38,8 @@ class Writer:
 
     def prose(self, lang: str, most: int) -> str:
         rng, out = self.rng, []
+        if rng.random() < 0.02:  # one word again and again
+            return " ".join([self.word(lang).capitalize()] * rng.choice((3, 9, 40, 300)))
         for _ in range(rng.randint(1, most)):
             out.append(self.words(lang, 1, 22).capitalize() + rng.choice(".....!?:"))
         text = " ".join(out)
@@ -93,7 +95,7 @@ class Writer:
 
     def article(self) -> str:
         rng, pick, lang = self.rng, self.rng.choice, self.lang()
-        out, most = [], pick((1, 2, 4, 12, 30))
+        out, most = [], pick((1, 2, 4, 12, 30, 80))
         title = pick((self.words(lang, 3, 12).capitalize(), self.prose(lang, 1), self.words(lang, 1, 3)))
         if rng.random() < 0.9:
             out.append(f"<h1>{MARK}{title}</h1>")
