@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import base64
 import heapq
+from itertools import chain, islice
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 from backtrail.llm.common import batches, once
 
 #: Distinct pre-tokens that a worker remembers before it starts afresh.
-MEMO = 500_000
+MEMO = 400_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -75,11 +76,26 @@ class PerfectHash:
         return out
 
 
+class _Numbers(dict):
+    """Numbers strings in the order they are first looked up."""
+
+    def __missing__(self, key):
+        self[key] = n = len(self)
+        return n
+
+
+def gathered(flat: np.ndarray, begins: np.ndarray, widths: np.ndarray) -> np.ndarray:
+    """The runs ``flat[begin : begin + width]``, end to end."""
+    ends = np.cumsum(widths)
+    return flat[np.repeat(begins - (ends - widths), widths) + np.arange(ends[-1] if len(ends) else 0)]
+
+
 class Codec:
     """Ids of texts and bytes of ids, by one rank file and one pre-token pattern."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
-        self.ranks, self.memo = ranks, {}
+        self.ranks = ranks
+        self._forget()
         # The pattern's \s is the White_Space property; this module's own \s has four control characters more.
         self.find = regex.compile(pattern.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
         keys = list(ranks)
@@ -118,33 +134,42 @@ class Codec:
             i = after[i]
         return out
 
-    def learn(self, pieces) -> None:
-        if len(self.memo) > MEMO:
-            self.memo.clear()
-        pieces = list(pieces)
-        encoded = [p.encode() for p in pieces]
-        for piece, raw, i in zip(pieces, encoded, self.hash(encoded).tolist()):
-            self.memo[piece] = [self.ids[i]] if i >= 0 and self.keys[i] == raw else self.merged(raw)
+    def _forget(self) -> None:
+        """Pre-tokens by number; the ids of number i are ``known[starts[i] : starts[i + 1]]``."""
+        self.memo, self.known, self.starts = _Numbers(), np.zeros(0, np.int32), np.zeros(1, np.int64)
 
-    def encode(self, texts) -> list[list[int]]:
-        out = []
+    def _learn(self) -> None:
+        """Ids of the pre-tokens that got a number since last time."""
+        fresh = [p.encode() for p in islice(self.memo, len(self.starts) - 1, None)]
+        lists = [[self.ids[i]] if i >= 0 and self.keys[i] == raw else self.merged(raw) for raw, i in zip(fresh, self.hash(fresh).tolist())]
+        widths = np.fromiter(map(len, lists), np.int64, len(lists))
+        self.known = np.concatenate([self.known, np.fromiter(chain.from_iterable(lists), np.int32, int(widths.sum()))])
+        self.starts = np.concatenate([self.starts, self.starts[-1] + np.cumsum(widths)])
+
+    def encode_flat(self, texts) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts end to end, and the offsets between texts."""
+        if len(self.memo) > MEMO:
+            self._forget()
+        number, found, counts = self.memo.__getitem__, [], []
         for text in texts:
             pieces = self.find(text or "")
-            if unknown := {p for p in pieces if p not in self.memo}:
-                self.learn(unknown)
-                unknown = {p for p in pieces if p not in self.memo}
-                if unknown:  # the memo was cleared
-                    self.learn(unknown)
-            memo = self.memo
-            out.append([i for p in pieces for i in memo[p]])
-        return out
+            found.append(np.fromiter(map(number, pieces), np.int64, len(pieces)))
+            counts.append(len(pieces))
+        if len(self.memo) >= len(self.starts):
+            self._learn()
+        numbers = np.concatenate(found) if found else np.zeros(0, np.int64)
+        widths = np.diff(self.starts)[numbers]
+        ends = np.concatenate(([0], np.cumsum(widths)))
+        return gathered(self.known, self.starts[numbers], widths), ends[np.cumsum([0, *counts])]
+
+    def encode(self, texts) -> list[list[int]]:
+        flat, offsets = self.encode_flat(texts)
+        return [flat[a:b].tolist() for a, b in zip(offsets, offsets[1:])]
 
     def decode_flat(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All bytes of a run of ids, and where each id's bytes end."""
         widths = self.widths[ids]
-        ends = np.cumsum(widths)
-        at = np.repeat(self.begins[ids] - (ends - widths), widths) + np.arange(ends[-1] if len(ends) else 0)
-        return self.bytes[at], ends
+        return gathered(self.bytes, self.begins[ids], widths), np.cumsum(widths)
 
 
 def _codec(path: str, pattern: str) -> Codec:
@@ -155,10 +180,8 @@ def _encoder(path: str, pattern: str):
     def run(parts):
         codec = _codec(path, pattern)
         for part in parts:
-            lists = codec.encode(part.column(1).to_pylist())
-            offsets = np.cumsum([0, *map(len, lists)]).astype(np.int32)
-            flat = np.fromiter((i for ids in lists for i in ids), np.int32, int(offsets[-1]))
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(offsets, flat)], ["id", "ids"])
+            flat, offsets = codec.encode_flat(part.column(1).to_pylist())
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(offsets.astype(np.int32), flat)], ["id", "ids"])
 
     return run
 
@@ -177,6 +200,13 @@ def _decoder(path: str, pattern: str):
     return run
 
 
+def _round_trip(path: str, pattern: str):
+    def run(parts):
+        return _decoder(path, pattern)(_encoder(path, pattern)(parts))
+
+    return run
+
+
 def encode(df: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(id_col, ids array<int>)`` of every row, the whole text, without special tokens."""
     kind = df.schema[id_col].dataType.simpleString()
@@ -190,9 +220,15 @@ def decode(df: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id",
     return batches(df.select(F.col(id_col).alias("id"), ids.alias("ids")), _decoder(ranks_path, pattern), f"id {kind}, ids array<int>, decoded binary").withColumnRenamed("id", id_col)
 
 
+def round_trip(df: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id_col, ids, decoded binary)``: :func:`encode`, then :func:`decode`, in one pass through one worker."""
+    kind = df.schema[id_col].dataType.simpleString()
+    return batches(df.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), _round_trip(ranks_path, pattern), f"id {kind}, ids array<int>, decoded binary").withColumnRenamed("id", id_col)
+
+
 def digests(df: DataFrame, ranks_path: str, pattern: str, ids: bool = False) -> DataFrame:
     """Encodes and decodes ``documents``: counts and digests of the ids and of the decoded bytes, with ``ids`` the ids too."""
-    both = decode(encode(df, ranks_path, pattern), ranks_path, pattern)
+    both = round_trip(df, ranks_path, pattern)
     return both.select(
         "doc_id",
         F.size("ids").cast("long").alias("n_tokens"),
