@@ -413,20 +413,20 @@ def join_expr(a: Expr, b: Expr) -> Expr:
 
 
 def fill(e: Expr, chooser) -> Expr:
-    """A partial query with every hole replaced by ``chooser()``, which fits the hole's type."""
+    """A partial query with every hole filled: scalars by ``chooser()``, bags by the empty bag."""
     match e:
         case Hole():
             return chooser()
         case If(cond=c, then=t, other=o):
-            return If(fill(c, chooser), fill(t, lambda: Empty()), fill(o, lambda: Empty()))
+            return If(fill(c, chooser), fill(t, Empty) if isinstance(t, Hole) else fill(t, chooser), fill(o, Empty) if isinstance(o, Hole) else fill(o, chooser))
         case Single(item=x):
             return Single(fill(x, chooser))
         case Record(fields=fields):
             return Record(tuple((k, fill(v, chooser)) for k, v in fields))
         case Union(left=a, right=b):
-            return Union(fill(a, lambda: Empty()), fill(b, lambda: Empty()))
+            return Union(fill(a, Empty) if isinstance(a, Hole) else fill(a, chooser), fill(b, Empty) if isinstance(b, Hole) else fill(b, chooser))
         case Each(var=v, source=s, body=b):
-            return Each(v, s, fill(b, lambda: Empty()))
+            return Each(v, s, fill(b, Empty) if isinstance(b, Hole) else fill(b, chooser))
         case Let(var=v, bound=b, body=c):
             return Let(v, b, fill(c, chooser))
     return e

@@ -64,9 +64,18 @@ def _joined(df: DataFrame | None, other: DataFrame) -> DataFrame:
 def _inner_parts(block: Block) -> tuple[Block, list[Guard]]:
     """An inner block without the guards that use outside generators; and these."""
     own = {g.var for g in block.gens}
-    outside = [s for s in block.guards if {g for g, _ in used(s.cond)} - own]
-    steps = tuple(s for s in block.steps if s not in outside)
-    return Block(steps, block.parts, block.head, block.path), outside
+    steps, outside = [], []
+    for step in block.steps:
+        for s in _conjuncts(step):
+            (outside if isinstance(s, Guard) and {g for g, _ in used(s.cond)} - own else steps).append(s)
+    return Block(tuple(steps), block.parts, block.head, block.path), outside
+
+
+def _conjuncts(step) -> list:
+    """A taken guard as one guard for each operand of its conjunction: for execution only, demands keep it whole."""
+    if isinstance(step, Guard) and step.taken and isinstance(step.cond, Op) and step.cond.name == "and":
+        return [g for a in step.cond.args for g in _conjuncts(Guard(step.site, a, True, step.depth))]
+    return [step]
 
 
 def _equal_sides(guard: Guard, own: set[str]) -> tuple[Expr, Expr] | None:
