@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 #: The white space of the word pattern ``[^\x20\x09-\x0D]+``.
 SPACE = " \t\n\x0b\x0c\r"
 #: Bound of one Arrow batch, so that memory follows this and not the length of texts.
-BATCH_ROWS, BATCH_BYTES = 2000, 16 << 20
+BATCH_ROWS, BATCH_BYTES = 1000, 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,9 +29,10 @@ def batches(df: DataFrame, fn, schema: str) -> DataFrame:
 
 
 def once(key, build):
-    """Built at most once in a Python worker, which serves many tasks."""
+    """Kept in a Python worker, which serves many tasks, until it is asked for something else."""
     kept = vars(sys).setdefault("_backtrail_once", {})
     if key not in kept:
+        kept.clear()
         kept[key] = build()
     return kept[key]
 
