@@ -12,10 +12,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from backtrail.operators.runs import Run, guard_uses, trace
+from backtrail.operators.runs import Run, components, guard_uses, trace
 from backtrail.operators.slicing import Demand, Slice
 from backtrail.plans import compile as plan
-from backtrail.plans.blocks import Block, Guard, used
+from backtrail.plans.blocks import Block, Guard, aggregates, used
 from backtrail.sources.catalog import Catalog, Edits, dotted
 
 SCHEMA = "site int, lbl string, reason string"
@@ -54,14 +54,15 @@ def _columns(run: Run) -> set[tuple[str, str]]:
     for block in run.blocks:
         tables = {g.var: g.table for g in block.gens}
         reads = used(block.head).union(*[guard_uses(g) for g in block.guards])
+        for e in (block.head, *(g.cond for g in block.guards)):
+            for agg in aggregates(e):
+                for inner in agg.bag.blocks:
+                    tables |= {g.var: g.table for g in inner.gens}
+                    reads = reads.union(used(inner.head), *[used(g.cond) for g in inner.guards])
         out |= {(tables[g], c) for g, c in reads}
     return out
 
 
-def _gen_numbers(run: Run) -> dict[int, int]:
-    return run.numbers()
-
-
 def replay(run: Run, cat: Catalog, within: dict[str, Demand] | None = None, fields: set[tuple[str, str]] | None = None) -> Replay:
     """Replays a run's trace over another catalog, or a slice of it ``within`` the slice's demands.
 
@@ -82,16 +83,11 @@ def replay(run: Run, cat: Catalog, within: dict[str, Demand] | None = None, fiel
     again = Run(run.expr, new, run.blocks, run.mode, run.level)
     parts, seen = [], set()
     for block in run.blocks:
+        parts += _failures(block, 0, old, new, numbers, seen)
         for k, step in enumerate(block.steps):
-            if step.site in seen and not isinstance(step, Guard):
-                continue
-            seen.add(step.site)
-            if not isinstance(step, Guard):
-                keys = old.labels(step.table)
-                strange = new[step.table].select(*keys).join(old[step.table].select(*keys), keys, "left_anti")
-                parts.append(strange.select(F.lit(numbers[step.site]).alias("site"), dotted([F.col(c) for c in keys]).alias("lbl"), F.lit("unknown label").alias("reason")))
-                continue
-            parts += [f.select(F.lit(numbers[step.site]).alias("site"), "lbl", F.lit("branch flipped").alias("reason")) for f in _flips(block, k, step, old, new)]
+            if isinstance(step, Guard):
+                parts += _inner_failures(block, k, step.cond, old, new, numbers, seen)
+        parts += _inner_failures(block, len(block.steps), block.head, old, new, numbers, seen)
     if not parts:
         return Replay(spark.createDataFrame([], SCHEMA), again)
     out = parts[0]
@@ -100,6 +96,34 @@ def replay(run: Run, cat: Catalog, within: dict[str, Demand] | None = None, fiel
     return Replay(out.distinct(), again)
 
 
+def _inner_failures(block: Block, k: int, e, old: Catalog, new: Catalog, numbers: dict, seen: set) -> list[DataFrame]:
+    """Failures within the bags that an expression aggregates, for the iterations that reach it."""
+    out = []
+    for agg in aggregates(e):
+        for inner in agg.bag.blocks:
+            out += _failures(Block((*block.steps[:k], *inner.steps)), k, old, new, numbers, seen)
+    return out
+
+
+def _failures(block: Block, start: int, old: Catalog, new: Catalog, numbers: dict, seen: set) -> list[DataFrame]:
+    """Unknown labels and flipped branches of the steps from ``start`` on."""
+    out = []
+    for k, step in enumerate(block.steps):
+        if k < start or (step.site, k) in seen:
+            continue
+        seen.add((step.site, k))
+        number = F.lit(numbers[step.site])
+        if isinstance(step, Guard):
+            out += [x.select(number.alias("site"), "lbl", F.lit("branch flipped").alias("reason")) for x in _flips(block, k, step, old, new)]
+            continue
+        keys = old.labels(step.table)
+        strange = new[step.table].select(*keys).join(old[step.table].select(*keys), keys, "left_anti")
+        for group in components(block, k):  # met only if an iteration gets there
+            strange = strange.crossJoin(F.broadcast(plan.frame(Block(group), new).limit(1).select(F.lit(1).alias("__any")))).drop("__any")
+        out.append(strange.select(number.alias("site"), dotted([F.col(c) for c in keys]).alias("lbl"), F.lit("unknown label").alias("reason")))
+    return out
+
+
 def _flips(block: Block, k: int, guard: Guard, old: Catalog, new: Catalog) -> list[DataFrame]:
     """Iterations present on both sides whose condition came out otherwise."""
     gens = [g for g in block.gens if block.steps.index(g) < k]

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, used
-from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union
+from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union, Whole
 from backtrail.operators.runs import Run, guard_uses, reach_count, reached
 from backtrail.sources.catalog import Catalog, dotted
 
@@ -301,7 +301,8 @@ def slice_nodes(s: Slice) -> int:
                 if not open_ and step.taken:
                     total += before - reach_count(block, run.cat, k + 1)
         total += sums["n"] + (0 if block.plain else sums["__any"] or 0)  # singletons, records with a field
-        total += sum((sums[k] or 0) * cost(e) for k, e in block.fields())
+        if not isinstance(block.head, Whole):
+            total += sum((sums[k] or 0) * cost(e) for k, e in block.fields())
     return total
 
 
