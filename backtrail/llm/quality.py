@@ -6,6 +6,8 @@ n-grams of log(target / raw), divided by their number.  Bucket weights are integ
 their order.  A text is kept when its score reaches the threshold: the value that best separates the labelled sample, where
 losing a good text counts ``GOOD_WEIGHT`` times keeping a bad one (of equal values the smallest, which keeps more).
 
+Labelled texts are scored for this by the target counts of the other folds of the sample: their own n-grams would flatter them.
+
 The labelled sample is bounded: the ``SAMPLE`` labels of smallest id hash; corpus counts cover all texts.  Only the sample's ids
 and the bucket table, both of fixed size, are broadcast.  Scoring has no shuffle.
 
@@ -23,7 +25,7 @@ from pyspark.sql import functions as F
 
 from backtrail.llm.common import SPACE, let, words
 
-BUCKETS, SAMPLE, SMOOTH, UNIT, GOOD_WEIGHT = 16_384, 20_000, 1.0, 1 << 20, 4.0
+BUCKETS, SAMPLE, SMOOTH, UNIT, GOOD_WEIGHT, FOLDS = 16_384, 20_000, 1.0, 1 << 20, 4.0, 4
 WINDOW, MIN_WORDS, REPEAT_PERCENT = 5, 10, 20
 SYMBOLS = "#*$%&|<>"
 
@@ -82,16 +84,25 @@ def measures(text: Column, weights: Column | None = None) -> Column:
 def _sample(labels: DataFrame, id_col: str) -> DataFrame:
     """At most ``SAMPLE`` labelled ids with their label."""
     rows = labels.filter(F.col(id_col).isNotNull() & F.col("quality").isNotNull()).groupBy(F.col(id_col).alias("__labelled")).agg(F.max("quality").alias("__good"))
+    rows = rows.withColumn("__fold", F.pmod(F.xxhash64(F.lit("fold"), "__labelled"), F.lit(FOLDS)).cast("int"))
     return rows.orderBy(F.xxhash64("__labelled"), "__labelled").limit(SAMPLE)
 
 
-def bucket_weights(df: DataFrame, sample: DataFrame, id_col: str, text_col: str) -> list[int]:
-    """Weight of every bucket, from counts over all texts; a row per bucket comes to the driver."""
+def bucket_counts(df: DataFrame, sample: DataFrame, id_col: str, text_col: str) -> tuple[list[int], list[list[int]]]:
+    """N-grams in every bucket: of all texts, and of the good texts of each fold; a row per bucket comes to the driver."""
     flagged = df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).join(F.broadcast(sample), F.col("__id") == F.col("__labelled"), "left")
-    grams = flagged.select((F.coalesce("__good", F.lit(0)) > 0).cast("int").alias("good"), F.explode(let(_codes(words(F.col("__text"))), _grams)).alias("bucket"))
-    raw, target = [0] * BUCKETS, [0] * BUCKETS
-    for bucket, n, good in grams.groupBy("bucket").agg(F.count("*"), F.sum("good")).collect():
-        raw[bucket], target[bucket] = n, good
+    fold = F.when(F.col("__good") > 0, F.col("__fold"))
+    grams = flagged.select(fold.alias("fold"), F.explode(let(_codes(words(F.col("__text"))), _grams)).alias("bucket"))
+    raw, folds = [0] * BUCKETS, [[0] * BUCKETS for _ in range(FOLDS)]
+    for bucket, n, *good in grams.groupBy("bucket").agg(F.count("*"), *[F.count_if(F.col("fold") == k) for k in range(FOLDS)]).collect():
+        raw[bucket] = n
+        for k, g in enumerate(good):
+            folds[k][bucket] = g
+    return raw, folds
+
+
+def bucket_weights(raw: list[int], target: list[int]) -> list[int]:
+    """Log ratio of the two smoothed multinomials in every bucket, in integer units; no target says nothing."""
     if not sum(target):
         return [0] * BUCKETS
     shift = math.log(sum(raw) + SMOOTH * BUCKETS) - math.log(sum(target) + SMOOTH * BUCKETS)
@@ -111,6 +122,11 @@ def best_threshold(good: list[float], bad: list[float]) -> float | None:
     return at
 
 
+def _literal(weights: list[int]) -> Column:
+    """A constant array, folded once when the query is planned."""
+    return F.from_json(F.lit(str(weights)), "array<bigint>")
+
+
 class QualityRules:
     """Weights and threshold of a corpus; :meth:`verdicts` applies them to any rows."""
 
@@ -121,16 +137,21 @@ class QualityRules:
     def fit(cls, df: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> QualityRules:
         sample = _sample(labels, id_col)
         ids = df.sparkSession.createDataFrame(sample.collect(), sample.schema)
-        rules = cls(bucket_weights(df, ids, id_col, text_col), None)
+        raw, folds = bucket_counts(df, ids, id_col, text_col)
+        total = [sum(counts) for counts in zip(*folds)]
         marked = df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).join(F.broadcast(ids), F.col("__id") == F.col("__labelled"))
-        # One row per labelled id, whatever repeats in the corpus.
-        scored = marked.groupBy("__labelled", "__good").agg(F.min("__text").alias("__text")).select("__good", rules.score(F.col("__text")).alias("score"))
+        # One row per labelled id, whatever repeats in the corpus; scored by what the other folds know.
+        texts = marked.groupBy("__labelled", "__good", "__fold").agg(F.min("__text").alias("__text"))
+        weights = F.lit(None).cast("array<bigint>")
+        for k, own in enumerate(folds):
+            others = bucket_weights(raw, [t - o for t, o in zip(total, own)])
+            weights = F.when(F.col("__fold") == k, _literal(others)).otherwise(weights)
+        scored = texts.select("__good", let(measures(F.col("__text"), weights), cls._score).alias("score"))
         found = [(r[0], r[1]) for r in scored.filter("score is not null").collect()]
-        rules.threshold = best_threshold([s for g, s in found if g > 0], [s for g, s in found if g <= 0])
-        return rules
+        return cls(bucket_weights(raw, total), best_threshold([s for g, s in found if g > 0], [s for g, s in found if g <= 0]))
 
     def _weights(self) -> Column:
-        return F.from_json(F.lit(str(self.weights)), "array<bigint>")
+        return _literal(self.weights)
 
     def score(self, text: Column) -> Column:
         """Length-normalised log-likelihood ratio; null without words."""

@@ -1,0 +1,363 @@
+"""Quality rules, token counts, fingerprints, personal data, byte BPE and SimHash beside plain versions."""
+
+import hashlib
+import math
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+import public_tokenizers
+from pyspark.sql import functions as F
+
+from backtrail.llm import byte_bpe, pii, quality, simhash, spotsigs, token_count
+from backtrail.llm.components import components
+
+RANKS, PATTERN = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+WORD = re.compile("[^\x20\x09-\x0d]+")
+
+
+def rows(df):
+    return [r.asDict() for r in df.collect()]
+
+
+def by_id(df, key="doc_id"):
+    return {r[key]: r for r in rows(df) if r[key] is not None}
+
+
+# --- quality -----------------------------------------------------------------------------------------------------------
+
+
+def plain_measures(text):
+    text = text or ""
+    words = WORD.findall(text)
+    windows = Counter(tuple(words[i : i + 5]) for i in range(len(words) - 4))
+    covered = {j for i in range(len(words) - 4) if windows[tuple(words[i : i + 5])] > 1 for j in range(i, i + 5)}
+    lines = [x for x in text.split("\n") if WORD.search(x)]
+    return len(words), sum(map(len, words)), sum(c in quality.SYMBOLS for c in text), len(lines) - len(set(lines)), len(covered)
+
+
+def test_quality_measures_and_verdicts(spark, docs, corpus):
+    labels = spark.read.parquet("/root/testdata/sf0.001/labels.parquet")
+    for table in (docs, corpus):
+        rules = quality.QualityRules.fit(table, labels)
+        texts = dict(table.select("doc_id", "text").collect())
+        found = rules.verdicts(table)
+        assert found.count() == table.count()
+        for i, r in by_id(found).items():
+            assert tuple(r[c] for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")) == plain_measures(texts[i])
+            assert r["base_failed"] == (r["n_words"] < 10 or 100 * r["n_repeat_words"] > 20 * r["n_words"])
+            passed = rules.threshold is None or (r["score"] is not None and r["score"] >= rules.threshold)
+            assert r["kept"] == (not r["base_failed"] and passed)
+        assert rules.keep(table).columns == table.columns
+
+
+def test_quality_scores_by_hand(spark):
+    """Counts in plain Python over the same hashed n-grams give the same weights and scores."""
+    texts = {1: "a b c a b", 2: "a b d e", 3: "x y z x"}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    labels = spark.createDataFrame([(1, 1), (3, 0)], "doc_id long, quality int")
+    rules = quality.QualityRules.fit(df, labels)
+
+    def hashed(values):
+        got = spark.createDataFrame([tuple(values)], ", ".join(f"c{i} {'string' if isinstance(v, str) else 'long'}" for i, v in enumerate(values)))
+        return got.select(F.xxhash64(*got.columns)).first()[0]
+
+    def grams(text):
+        codes = [hashed([w]) for w in text.split()]
+        return [c % quality.BUCKETS for c in codes] + [hashed([b, a]) % quality.BUCKETS for a, b in zip(codes, codes[1:])]
+
+    raw, target = Counter(), Counter(grams(texts[1]))
+    for t in texts.values():
+        raw.update(grams(t))
+    total = lambda c: sum(c.values()) + quality.BUCKETS
+    weight = lambda b: round(quality.UNIT * (math.log(target[b] + 1) - math.log(raw[b] + 1) + math.log(total(raw)) - math.log(total(target))))
+    for i, r in by_id(rules.verdicts(df)).items():
+        g = grams(texts[i])
+        assert r["score"] == pytest.approx(sum(map(weight, g)) / quality.UNIT / len(g))
+    scores = {i: r["score"] for i, r in by_id(rules.verdicts(df)).items()}
+    assert scores[1] > scores[2] > scores[3]
+
+
+def test_quality_keeps_the_good_and_drops_the_bad(spark):
+    """On labelled documents that the fit did not see."""
+    folder = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    labels = spark.read.parquet(f"{folder}/labels.parquet")
+    seen, held = labels.filter("doc_id % 2 = 0"), labels.filter("doc_id % 2 = 1")
+    found = quality.QualityRules.fit(docs, seen).verdicts(docs).join(held, "doc_id")
+    kept = {r["quality"]: r["k"] for r in found.groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("k")).collect()}
+    assert kept[1] > 0.9 and kept[0] < 0.2  # base rules reject some of the good
+
+
+def test_quality_threshold():
+    assert quality.best_threshold([], [1.0]) is None and quality.best_threshold([1.0], []) is None
+    assert quality.best_threshold([2.0, 3.0], [0.0, 1.0]) == 1.5
+    assert quality.best_threshold([1.0, 1.0], [1.0]) == 1.0  # ties: everything stays
+
+
+# --- tokens ------------------------------------------------------------------------------------------------------------
+
+
+def test_token_counts_equal_the_library(docs, corpus):
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    library = Tokenizer.from_file(path)
+    extra = docs.sparkSession.createDataFrame([(100, "a<|endoftext|>b <|startoftext|> <|x|>"), (101, "a" * 3000), (102, "ab" * 999 + "aaa"), (103, "\u00c9 e\u0301 \u0130 \u03a3\u0391\u03a3 \u00bd 12.5")], "doc_id long, text string")
+    for df in (docs.select("doc_id", "text"), corpus.select("doc_id", "text"), extra):
+        texts = dict(df.collect())
+        for i, r in by_id(token_count.count_tokens(df, path, 2048)).items():
+            text = texts[i] or ""
+            n = len(library.encode(text, add_special_tokens=False).ids)
+            assert (r["n_bytes"], r["n_tokens"], r["over_limit"]) == (len(text.encode()), n, n > 2048)
+
+
+def test_merging_one_at_a_time_and_all_at_once_agree():
+    table = token_count.MergeTable({c: i for i, c in enumerate(["a", "b", "ab", "aa", "aab"])}, [("a", "b"), ("a", "a"), ("aa", "b")])
+    rng = random.Random(5)
+    words = [[rng.randint(0, 1) for _ in range(rng.randint(1, 12))] for _ in range(300)]
+    flat, lengths = np.array([s for w in words for s in w]), np.array(list(map(len, words)))
+    both = []
+    for ordered in (True, False):
+        table.ordered = ordered
+        both.append(token_count.merged_counts(flat.copy(), lengths.copy(), table).tolist())
+    assert both[0] == both[1]
+
+
+def test_byte_bpe_equals_the_library_and_round_trips(docs, corpus):
+    import tiktoken
+
+    library = tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=byte_bpe.load_ranks(RANKS), special_tokens={})
+    for df in (docs, corpus):
+        texts = dict(df.select("doc_id", "text").collect())
+        ids = {r["doc_id"]: r["ids"] for r in byte_bpe.encode(df, RANKS, PATTERN).collect()}
+        for i, r in by_id(byte_bpe.digests(df, RANKS, PATTERN)).items():
+            text = texts[i] or ""
+            assert ids[i] == library.encode_ordinary(text)
+            assert r["n_tokens"] == len(ids[i])
+            assert r["ids_sha256"] == hashlib.sha256(" ".join(map(str, ids[i])).encode()).hexdigest()
+            assert r["decoded_sha256"] == hashlib.sha256(text.encode()).hexdigest()
+        again = byte_bpe.decode(byte_bpe.encode(df, RANKS, PATTERN), RANKS, PATTERN)
+        assert all(bytes(r["decoded"]).decode() == (texts[r["doc_id"]] or "") for r in again.collect())
+
+
+def test_perfect_hash_is_minimal_and_perfect():
+    keys = [f"key {i}".encode() for i in range(5000)]
+    found = byte_bpe.PerfectHash(keys)
+    assert sorted(found(keys).tolist()) == list(range(5000))
+    assert byte_bpe.PerfectHash([])([b"x"]).tolist() == [-1]
+
+
+def test_memo_overflow_changes_nothing(monkeypatch):
+    codec = byte_bpe.Codec(byte_bpe.load_ranks(RANKS), PATTERN)
+    texts = [f"unseen{i} pieces{i * 7} here" for i in range(50)]
+    before = codec.encode(texts)
+    monkeypatch.setattr(byte_bpe, "MEMO", 3)
+    assert [codec.encode([t])[0] for t in texts] == before
+
+
+# --- fingerprints ------------------------------------------------------------------------------------------------------
+
+
+def test_edited_texts_and_likeness(docs, corpus):
+    for df in (corpus.select("doc_id", "text"), docs.filter("doc_id is not null").dropDuplicates(["doc_id"]).select("doc_id", "text")):
+        order = sorted(((r["doc_id"], r["text"] or "") for r in df.collect()), reverse=True)
+        found = by_id(spotsigs.compare_edited(df))
+        assert len(found) == len(order)
+        signer = spotsigs.Signer()
+        for (i, text), (_, after) in zip(order, [*order[1:], order[0]]):
+            third = len(text) // 3
+            changed = text[: len(text) - third] + after[:third]
+            own, new, its = (set(signer(t).tolist()) for t in (text, changed, after))
+            jaccard = lambda a, b: 1.0 if not a | b else len(a & b) / len(a | b)
+            r = found[i]
+            assert r["n_chars"] == len(text) and r["edited_sha256"] == hashlib.sha256(changed.encode()).hexdigest()
+            assert set(spotsigs.unpacked(r["fingerprint"]).tolist()) == own and r["edited_fingerprint"] == spotsigs.packed(signer(changed))
+            assert r["near_edited"] == pytest.approx(jaccard(own, new)) and r["near_next"] == pytest.approx(jaccard(own, its))
+
+
+def test_edited_texts_with_repeats_and_nulls(docs, none):
+    found = rows(spotsigs.compare_edited(docs))
+    assert len(found) == docs.count()
+    assert len({r["fingerprint"] for r in found if r["doc_id"] == 0}) == 1
+    assert spotsigs.compare_edited(none).count() == 0
+    one = docs.filter("doc_id = 8")
+    assert rows(spotsigs.compare_edited(one))[0]["near_next"] == 1.0  # its own next
+
+
+def test_spot_signature_links(corpus):
+    prints = spotsigs.fingerprints(corpus)
+    distinct = sorted({r["fingerprint"] for r in prints.collect()} - {""})
+    sets = [set(spotsigs.unpacked(f).tolist()) for f in distinct]
+    for least in (0.8, 0.3):
+        expected = {(distinct[i], distinct[j]) for i in range(len(sets)) for j in range(i + 1, len(sets)) if len(sets[i] & sets[j]) >= least * len(sets[i] | sets[j])}
+        found = {(r["a"], r["b"]) for r in spotsigs.links(prints, least).collect()}
+        assert found == expected
+
+
+def plain_fingerprint(text):
+    import xxhash
+
+    words = [w.decode() for w in (text or "").encode().lower().split()]
+    if not words:
+        return 0
+    shingles = [" ".join(words[i : i + 3]) for i in range(max(1, len(words) - 2))]
+    hashes = [xxhash.xxh64_intdigest(s.encode(), 42) for s in shingles]
+    return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+
+def plain_components(prints: dict) -> dict:
+    root = {f: i for f, i in prints.items()}
+    changed = True
+    while changed:
+        changed = False
+        for a in root:
+            low = min(root[b] for b in root if bin(a ^ b).count("1") <= 2)
+            if low < root[a]:
+                root[a], changed = low, True
+    return root
+
+
+def test_simhash_equals_brute_force(spark, docs, corpus):
+    rng = random.Random(3)
+    # chains of near fingerprints: texts of one shingle can't be steered, so fingerprints are linked directly
+    prints = []
+    for _ in range(40):
+        f = rng.getrandbits(64)
+        for _ in range(rng.randint(1, 12)):
+            prints.append(f)
+            f ^= sum(1 << b for b in rng.sample(range(64), rng.randint(1, 3)))
+    signed = [p - (1 << 64) if p >> 63 else p for p in prints]
+    df = spark.createDataFrame([(p,) for p in set(signed)], "fp long")
+    root = {r["node"]: r["root"] for r in components(simhash.links(df)).collect()}
+    expected = plain_components({p & (1 << 64) - 1: p for p in set(signed)})
+    assert {p: root.get(p, p) for p in set(signed)} == {(f - (1 << 64) if f >> 63 else f): r for f, r in expected.items()}
+    for table in (docs, corpus):
+        texts = [(r["doc_id"], r["text"]) for r in table.collect() if r["doc_id"] is not None]
+        least = {}
+        for i, t in texts:
+            f = plain_fingerprint(t)
+            least[f] = min(i, least.get(f, i))
+        expected = plain_components(least)
+        for r in rows(simhash.near_duplicates(table)):
+            if r["doc_id"] is not None:
+                f = plain_fingerprint(dict(texts)[r["doc_id"]])
+                assert int(r["fingerprint"], 16) == f and r["component_id"] == expected[f]
+
+
+def test_anchors_cover_every_pair(spark):
+    rng = random.Random(1)
+    pairs = []
+    for _ in range(200):
+        a = rng.getrandbits(63)
+        pairs.append((a, a ^ sum(1 << b for b in rng.sample(range(63), rng.randint(0, 2)))))
+    df = spark.createDataFrame(pairs, "a long, b long")
+    got = df.select(F.size(F.array_intersect(simhash.anchors(F.col("a")), simhash.anchors(F.col("b")))).alias("n"), F.size(simhash.anchors(F.col("a"))).alias("k")).collect()
+    assert all(r["n"] > 0 and r["k"] in (1, 32) for r in got)
+
+
+def test_components_of_shapes(spark):
+    path = [(i, i + 1) for i in range(200)]
+    star = [(1000, 1000 + i) for i in range(1, 300)]
+    found = {r["node"]: r["root"] for r in components(spark.createDataFrame(path + star + [(5, 5), (1, 0)], "u long, v long")).collect()}
+    assert all(found[i] == 0 for i in range(1, 201)) and all(found[1000 + i] == 1000 for i in range(1, 300))
+    assert components(spark.createDataFrame([], "u long, v long")).count() == 0
+
+
+def test_one_document_of_each_group_stays(docs, none):
+    kept = simhash.keep_one(docs)
+    assert kept.columns == docs.columns
+    classes = by_id(simhash.near_duplicates(docs))
+    ids = [r["doc_id"] for r in kept.collect()]
+    assert sorted(i for i in ids if i is not None) == sorted({r["component_id"] for r in classes.values()})
+    assert ids.count(None) == 1
+    assert simhash.keep_one(none).count() == 0 and simhash.near_duplicates(none).count() == 0
+
+
+# --- personal data -----------------------------------------------------------------------------------------------------
+
+PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+
+
+def plain_base(text):
+    digits = lambda s: re.sub("[^0-9]", "", s)
+    good = {"email": lambda s: True, "ip": lambda s: all(int(p) <= 255 for p in s.split(".")), "card": lambda s: 14 <= len(digits(s)) <= 19 and pii.luhn(digits(s)), "phone": lambda s: 10 <= len(digits(s)) <= 15}
+    return sorted((m.start(), k, m.end()) for k, name in enumerate(pii.BASE) for m in re.finditer(PATTERNS[name], text) if good[name](m[0]))
+
+
+@pytest.fixture(scope="module")
+def field(spark):
+    return pii.Field.train(pii.labelled_table(spark))
+
+
+def test_base_spans_equal_the_patterns():
+    rng = random.Random(2)
+    texts = ["a@b.c@d.e x@y.z", "1.2.3.4.5.6.7.8", "+1+12345678901", "@@a@b..c.d", "0001.2.3.4 1.2.3.0000255", "4111-1111 1111-1111  4111111111111111"]
+    texts += ["".join(rng.choice("0123456789.@+-() ab") for _ in range(rng.randint(0, 60))) for _ in range(3000)]
+    for t in texts:
+        assert pii.base_spans(t) == plain_base(t), t
+
+
+def test_base_spans_of_long_runs_take_linear_time():
+    for unit in ("a", "1", "1.", "+1", "a@", "1 "):
+        pii.base_spans(unit * 200_000)
+
+
+def test_find(docs, corpus, field, none):
+    for df in (docs, corpus):
+        texts = dict(df.select("doc_id", "text").collect())
+        for i, r in by_id(pii.find(df, field)).items():
+            text = texts[i] or ""
+            base = plain_base(text)
+            assert [r[f"n_{k}"] for k in pii.BASE] == [sum(s[1] == k for s in base) for k in range(4)]
+            assert r["base_spans"] == pii.written(base)
+            assert set(filter(None, r["base_spans"].split(","))) <= set(filter(None, r["spans"].split(",")))
+            tokens = [m.span(1) for m in re.finditer(r'(?i)token = "([0-9a-f]{40})"', text)]
+            assert {f"secret:{a}:{b}" for a, b in tokens} == {s for s in r["spans"].split(",") if s.startswith("secret")}
+    assert pii.find(none, field).count() == 0
+
+
+def test_field_on_held_out_rows(field):
+    held = pii.labelled_rows(200, 99)
+    sentences = {}
+    for s, _, w, t in held:
+        sentences.setdefault(s, []).append((w, t))
+    words = [w for s in sentences.values() for w, _ in s]
+    starts = np.cumsum([0, *map(len, sentences.values())])[:-1]
+    decoder = pii.Decoder(field)
+    labels = [pii.LABELS[k] for k in decoder.labels(words, starts)]
+    assert np.mean([a == t for a, (_, _, _, t) in zip(labels, held)]) > 0.99
+
+    def viterbi(ids):
+        before, after = np.append(0, ids[:-1]), np.append(ids[1:], 0)
+        emit = decoder.rows[0][before] + decoder.rows[1][ids] + decoder.rows[2][after]
+        score, back = emit[0], []
+        for e in emit[1:]:
+            joint = score[:, None] + field.moves
+            back.append(joint.argmax(0))
+            score = joint.max(0) + e
+        out = [int(score.argmax())]
+        for b in reversed(back):
+            out.append(int(b[out[-1]]))
+        return out[::-1]
+
+    assert labels == [pii.LABELS[k] for s in sentences.values() for k in viterbi(decoder.indices([w for w, _ in s]))]
+
+
+def test_redaction(docs, field, none):
+    done = pii.redact(docs, field)
+    assert done.columns == docs.columns and done.count() == docs.count()
+    texts = {r["doc_id"]: r["text"] for r in done.collect()}
+    assert texts[8] == "Write to [EMAIL] or [PHONE] from [IP] with card [CARD] now."
+    assert texts[9] == 'From token = "[SECRET]" the rest is plain, 9807915762804491 is no card.'
+    assert texts[3] is None and texts[4] == ""
+    assert pii.redact(none, field).count() == 0
+
+
+def test_empty_tables(none, spark):
+    labels = spark.createDataFrame([], "doc_id long, quality int")
+    assert quality.QualityRules.fit(none, labels).verdicts(none).count() == 0
+    assert token_count.count_tokens(none, public_tokenizers.path("word_bpe_49k.json"), 9).count() == 0
+    assert byte_bpe.digests(none, RANKS, PATTERN).count() == 0
