@@ -27,6 +27,11 @@ def consume(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
 
 
+def read_all(df: DataFrame, small: bool) -> None:
+    """Computes a result; a small one comes to the driver, as its user would have it."""
+    df.collect() if small else consume(df)
+
+
 def kept_fraction(run: Run, target: Target) -> DataFrame:
     """``(source_table, kept_cells, cells)``: how much of the inputs a slice keeps."""
     out = []
@@ -63,8 +68,9 @@ def grid(expr: Expr, cat: Catalog, target_of: Callable[[Run], Target], folder: s
             traced = seconds(lambda m=mode, r=runs: r.append(trace(expr, cat, m, "full" if m == "eager" else "taken", folder)))
             run = runs[0]
             target = target_of(run) if kind == "enriched" else target_of(run).closed()
-            cut = seconds(lambda r=run, t=target: [*(consume(d.rows) for d in slice_inputs(r, t).values()), consume(sliced_trace(slice_trace(r, t)))])
-            query = seconds(lambda r=run, t=target: consume(marks_frame(r, t)))
+            few = target.local is not None
+            cut = seconds(lambda r=run, t=target, f=few: [*(read_all(d.rows, f) for d in slice_inputs(r, t).values()), read_all(sliced_trace(slice_trace(r, t)), f)])
+            query = seconds(lambda r=run, t=target: read_all(marks_frame(r, t), True))
             out.append({"mode": mode, "pattern": kind, "eval": base, "trace": traced, "slice": cut, "qslice": query})
     return out
 

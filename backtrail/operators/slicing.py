@@ -23,7 +23,7 @@ from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, used
 from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union, Whole
 from backtrail.operators.runs import Run, guard_uses, reach_count, reached
-from backtrail.sources.catalog import Catalog, dotted
+from backtrail.sources.catalog import Catalog, dotted, given
 
 SKIP, CLOSED, SAME = "skip", "closed", "same"
 ROW = "m__row"
@@ -35,6 +35,32 @@ def mask(name: str) -> str:
     return f"m_{name}"
 
 
+def _parsed(block: Block, depths: dict[str, int], lbl: str) -> tuple | None:
+    """The generators' label columns in a dotted label, or None if it is not of this block."""
+    numbers, at, found = [int(x) for x in lbl.split(".") if x], 0, {}
+    for part in block.parts:
+        n = 1 if isinstance(part, int) else depths[part]
+        piece = numbers[at : at + n]
+        if len(piece) < n or (isinstance(part, int) and piece != [part]):
+            return None
+        found[part], at = piece, at + n
+    return tuple(x for g in block.gens for x in found[g.var]) if at == len(numbers) else None
+
+
+class _Local(dict):
+    """Frames of given rows, made when something asks for them."""
+
+    def __init__(self, run: Run, rows: dict[int, list[tuple]]):
+        super().__init__()
+        self.run, self.rows = run, rows
+
+    def __missing__(self, i: int) -> DataFrame:
+        block = self.run.blocks[i]
+        kinds = {c: "long" for c in plan.all_labels(block, self.run.cat)} | {mask(k): "int" for k, _ in block.fields()} | {ROW: "int"}
+        self[i] = given(self.run.cat.spark, self.rows[i], **kinds)
+        return self[i]
+
+
 @dataclass
 class Target:
     """Per block: label columns, a mask per head field (``m_…``) and the row's own level ``m__row``."""
@@ -42,6 +68,24 @@ class Target:
     run: Run
     frames: dict[int, DataFrame]
     rest: str = SKIP
+    local: dict[int, list[tuple]] | None = None  # the frames' rows, where a few labels were given
+
+    @classmethod
+    def at(cls, run: Run, cells: dict[str, list[str]], level: int = 1) -> Target:
+        """Elements seen in the result, by dotted label, each with its own fields.
+
+        A label spells out the source elements it was made of, so an open slice of a few of them needs no look at the data: it is
+        worked out here, whatever the size of the tables.  Labels that are not in the result would be taken on trust; see ``cells``.
+        """
+        if len(cells) > SMALL:
+            raise ValueError(f"more than {SMALL} labels: use where()")
+        local = {}
+        for i, block in enumerate(run.blocks):
+            names = [k for k, _ in block.fields()]
+            depths = {g.var: len(run.cat.labels(g.table)) for g in block.gens}
+            found = [(_parsed(block, depths, lbl), fs) for lbl, fs in cells.items()]
+            local[i] = [(*labels, *[level if k in fs else 0 for k in names], level) for labels, fs in found if labels is not None]
+        return cls(run, _Local(run, local), SKIP, local)
 
     @classmethod
     def where(cls, run: Run, cond: Column | str, fields: list[str] | None = None, rest: str = SKIP, level: int = 1) -> Target:
@@ -229,6 +273,8 @@ def _inner_demands(into: _Demands, run: Run, outer: Block, rows: DataFrame, agg:
 
 def slice_inputs(run: Run, target: Target, tight: bool = False) -> dict[str, Demand]:
     """Demand on every table, without the trace."""
+    if target.local is not None and not any(aggregates(b.head) or any(aggregates(g.cond) for g in b.guards) for b in run.blocks):
+        return _local_inputs(run, target.local)
     into = _Demands(run.cat)
     for i, block in enumerate(run.blocks):
         rows, open_ = target.frames[i], target.rest == SKIP
@@ -251,6 +297,39 @@ def slice_inputs(run: Run, target: Target, tight: bool = False) -> dict[str, Dem
     return into.joined()
 
 
+def _column_masks(block: Block) -> dict[str, dict[str, tuple[list[int], bool]]]:
+    """Per generator and column: the fields that read it, by number, and whether a guard does."""
+    out: dict = {g.var: {} for g in block.gens}
+    for n, (_, e) in enumerate(block.fields()):
+        for g, c in used(e):
+            out[g].setdefault(c, ([], False))[0].append(n)
+    for guard in block.guards:
+        for g, c in guard_uses(guard):
+            out[g][c] = (out[g].get(c, ([], False))[0], True)
+    return out
+
+
+def _local_inputs(run: Run, local: dict[int, list[tuple]]) -> dict[str, Demand]:
+    found: dict[str, dict[tuple, dict[str, int]]] = {}
+    for i, block in enumerate(run.blocks):
+        reads, fields, at, places = _column_masks(block), len(block.fields()), 0, {}
+        for g in block.gens:
+            places[g.var] = slice(at, at := at + len(run.cat.labels(g.table)))
+        for g in block.gens:
+            rows = found.setdefault(g.table, {})
+            for row in local[i]:
+                masks = rows.setdefault(row[places[g.var]], {})
+                for c, (names, guarded) in reads[g.var].items():
+                    masks[c] = max([masks.get(c, 0), row[-1] if guarded else 0, *(row[at + n] for n in names)])
+        assert all(len(row) == at + fields + 1 for row in local[i])
+    out = {}
+    for table, rows in found.items():
+        keys, columns = run.cat.labels(table), run.cat.columns(table)
+        data = [(*label, *[masks.get(c, 0) for c in columns]) for label, masks in sorted(rows.items())]
+        out[table] = Demand(table, given(run.cat.spark, data, **{k: "long" for k in keys}, **{mask(c): "tinyint" for c in columns}), SKIP, columns)
+    return out
+
+
 def slice_trace(run: Run, target: Target, tight: bool = False) -> Slice:
     return Slice(run, target, slice_inputs(run, target, tight), tight)
 
@@ -258,12 +337,23 @@ def slice_trace(run: Run, target: Target, tight: bool = False) -> Slice:
 def sliced_trace(s: Slice) -> DataFrame:
     """Kept iterations of every conditional as ``(site, lbl, branch)``."""
     out, numbers = None, s.run.numbers()
+    if s.target.local is not None:
+        rows = set()
+        for i, block in enumerate(s.run.blocks):
+            for k, step in enumerate(block.steps):
+                if isinstance(step, Guard):
+                    depth = sum(len(s.run.cat.labels(g.table)) for g in block.gens if block.steps.index(g) < k)
+                    rows |= {(numbers[step.site], ".".join(map(str, r[:depth])), step.taken) for r in s.target.local[i]}
+        return given(s.run.cat.spark, sorted(rows), site="int", lbl="string", branch="boolean")
     for i, block in enumerate(s.run.blocks):
         for k, step in enumerate(block.steps):
             if not isinstance(step, Guard):
                 continue
             labels = [c for g in block.gens if block.steps.index(g) < k for c in plan.gen_labels(s.run.cat, g)]
-            if s.target.rest == SKIP:
+            if s.target.rest != SKIP and s.run.level == "full" and (i, k) in s.run.frames:
+                stored = s.run.frames[i, k]
+                df = stored.select(*labels, "branch")
+            elif s.target.rest == SKIP:
                 df = s.target.frames[i].select(*labels).distinct().withColumn("branch", F.lit(step.taken))
             else:
                 passed = plan.frame(Block((*block.steps[:k], step)), s.run.cat).select(*labels).distinct().withColumn("__p", F.lit(True))
@@ -318,7 +408,11 @@ def query_marks(run: Run, target: Target) -> dict[int, tuple[int, int, int]]:
         marks[numbers[site]] = tuple(map(max, a, (level, then, other)))
 
     for i, block in enumerate(run.blocks):
-        got = target.frames[i].agg(F.max(ROW).alias("row"), *[F.max(mask(k)).alias(k) for k, _ in block.fields()]).first()
+        if target.local is not None:
+            best = [max(column) for column in zip(*target.local[i])] or [None] * (len(block.fields()) + 1)
+            got = dict(zip([k for k, _ in block.fields()] + ["row"], best[-len(block.fields()) - 1 :]))
+        else:
+            got = target.frames[i].agg(F.max(ROW).alias("row"), *[F.max(mask(k)).alias(k) for k, _ in block.fields()]).first()
         level = got["row"] or 0
         if target.rest != SKIP:
             for k, step in enumerate(block.steps):
@@ -437,7 +531,7 @@ def marks_frame(run: Run, target: Target) -> DataFrame:
     """``(site, kept, then_used, else_used)`` of every site of the query."""
     marks = query_marks(run, target)
     rows = [(n, *marks.get(n, (0, 0, 0))) for n in sorted(run.numbers().values())]
-    return run.cat.spark.createDataFrame(rows, "site int, kept int, then_used int, else_used int")
+    return given(run.cat.spark, rows, site="int", kept="int", then_used="int", else_used="int")
 
 
 # --- differences -------------------------------------------------------------------------------------------------------

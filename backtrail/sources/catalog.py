@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -20,6 +21,16 @@ KEYS = {
 TIES = {"lineitem": ["l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]}
 
 
+#: Types of rows given on the driver.
+_KINDS = {"long": pa.int64(), "int": pa.int32(), "tinyint": pa.int8(), "string": pa.string(), "boolean": pa.bool_()}
+
+
+def given(spark: SparkSession, rows: list[tuple], **columns: str) -> DataFrame:
+    """A few rows from the driver as a local relation, which is read back without a job."""
+    arrays = [pa.array([r[i] for r in rows], _KINDS[kind]) for i, kind in enumerate(columns.values())]
+    return spark.createDataFrame(pa.table(arrays, names=list(columns)))
+
+
 def label_columns(df: DataFrame) -> list[str]:
     return sorted((c for c in df.columns if c.startswith("_l") and c[2:].isdigit()), key=lambda c: int(c[2:]))
 
