@@ -75,6 +75,17 @@ def grid(expr: Expr, cat: Catalog, target_of: Callable[[Run], Target], folder: s
     return out
 
 
+def stored_bytes(run: Run, folder: str) -> int:
+    """Bytes that a stored trace takes; 0 on demand, where nothing is stored."""
+    if run.mode == "on_demand":
+        return 0
+    spark = run.cat.spark
+    for (i, k), df in run.frames.items():
+        df.write.mode("overwrite").parquet(f"{folder}/block={i}/step={k}")
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    return path.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(path).getLength()
+
+
 def probe_precision(run: Run, target: Target, limit: int = 200) -> tuple[int, int]:
     """Of the kept cells, how many change the target when each alone is altered.  One rerun per cell: for small inputs only."""
     from backtrail.operators.checks import target_violations

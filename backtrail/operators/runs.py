@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, flatten, used
-from backtrail.plans.expr import Each, Expr, children, typecheck
+from backtrail.plans.expr import Each, Expr, If, children, render, typecheck
 from backtrail.sources.catalog import Catalog, dotted
 
 
@@ -177,6 +177,41 @@ def is_subtrace(small: DataFrame, large: DataFrame) -> DataFrame:
     return small.join(large, ["site", "lbl", "branch"], "left_anti")
 
 
+def render_trace(run: Run, limit: int = 20) -> str:
+    """A few iterations of every conditional as text, with the branch each took."""
+    numbers, conds = run.numbers(), {}
+
+    def walk(e: Expr) -> None:
+        if isinstance(e, If):
+            conds[numbers[e.site]] = render(e.cond)
+        for child in children(e):
+            walk(child)
+
+    walk(run.expr)
+    rows = trace_rows(run, "full" if run.level == "full" else "taken").orderBy("site", "lbl").limit(limit).collect()
+    return "\n".join([render(run.expr), *(f"  [{r['lbl']}] {conds[r['site']]} is {str(r['branch']).lower()}: {'then' if r['branch'] else 'else'}" for r in rows)])
+
+
+def typecheck_trace(run: Run) -> list[str]:
+    """Where a run's frames do not have the types that its query has; none if all is well."""
+    wrong = []
+    element = typecheck(run.expr, run.cat.types())
+    fields = element[1] if isinstance(element, tuple) and isinstance(element[1], dict) else {"value": element[1]} if isinstance(element, tuple) else {}
+    for i, block in enumerate(run.blocks):
+        found = {f.name: f.dataType.simpleString() for f in run.value_of(i).schema}
+        for name, kind in fields.items():
+            if name not in found:
+                wrong.append(f"block {i} lacks field {name}")
+            elif kind == "number" and not found[name].startswith(("tinyint", "smallint", "int", "bigint", "float", "double", "decimal")):
+                wrong.append(f"block {i}: {name} is {found[name]}, not a number")
+            elif kind in ("string", "boolean") and found[name] != kind:
+                wrong.append(f"block {i}: {name} is {found[name]}, not {kind}")
+    for (i, k), df in run.frames.items():
+        kinds = {f.name: f.dataType.simpleString() for f in df.schema}
+        wrong += [f"trace {i}.{k}: {c} is {t}" for c, t in kinds.items() if t != ("boolean" if c == "branch" else "bigint")]
+    return wrong
+
+
 # --- sizes -------------------------------------------------------------------------------------------------------------
 
 

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, used
-from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union, Whole
+from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union, Whole, render
 from backtrail.operators.runs import Run, guard_uses, reach_count, reached
 from backtrail.sources.catalog import Catalog, dotted, given
 
@@ -563,6 +563,32 @@ def diff_query(inner: Target, outer: Target) -> DataFrame:
     return marks_frame(outer.run, difference(inner, outer))
 
 
+def render_diff(inner: Target, outer: Target) -> str:
+    """The outer partial query with the parts in brackets that the inner one lacks."""
+    run = outer.run
+    numbers, marks = run.numbers(), query_marks(run, difference(inner, outer))
+    partial = slice_query(run, outer)
+    boxed = lambda e, text: f"[{text}]" if marks.get(numbers.get(e.site, 0), (2,))[0] == 1 else text
+
+    def show(e: Expr) -> str:
+        match e:
+            case Record(fields=fields):
+                return "<" + ", ".join(f"{k}: {boxed(v, render(v))}" for k, v in fields) + ">"
+            case Single(item=x):
+                return "{" + show(x) + "}"
+            case If(cond=c, then=t, other=o):
+                return f"if {render(c)} then {show(t)} else {show(o)}"
+            case Union(left=a, right=b):
+                return f"({show(a)} ∪ {show(b)})"
+            case Each(var=v, source=s, body=b):
+                return f"∪{{{show(b)} | {v} ∈ {show(s)}}}"
+            case Let(var=v, bound=b, body=c):
+                return f"let {v} = {show(b)} in {show(c)}"
+        return render(e)
+
+    return show(partial)
+
+
 def diff_trace(inner: Target, outer: Target) -> DataFrame:
     """Kept iterations of the outer slice with level 2 where the inner slice keeps them too."""
     a = sliced_trace(slice_trace(outer.run, outer))

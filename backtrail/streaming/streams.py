@@ -67,6 +67,21 @@ def unknown_labels(df: DataFrame, known: DataFrame, key: str) -> DataFrame:
     return df.join(known.select(F.col(key).alias("__known")), F.col(key) == F.col("__known"), "left_anti")
 
 
+def traced(expr_of: Callable[[DataFrame], object], name: str, key: str, folder: str, columns: list[str]) -> Callable[[DataFrame], DataFrame]:
+    """For ``drained(each=…)``: evaluates a query over every micro-batch as table ``name``, labelled by ``key``, and appends its
+    trace to a folder.  Labels come from the events, so traces of batches never collide."""
+    from backtrail.operators.runs import trace, trace_rows
+    from backtrail.sources.catalog import Catalog
+
+    def step(batch: DataFrame) -> DataFrame:
+        cat = Catalog(batch.sparkSession).register(name, batch.select(*columns), [key])
+        run = trace(expr_of(batch), cat)
+        trace_rows(run).write.mode("append").parquet(folder)
+        return run.value()
+
+    return step
+
+
 def drained(df: DataFrame, mode: str = "append", each: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """Runs a stream over all that is there now and returns its output, kept as files through ``foreachBatch``.
 
@@ -79,7 +94,8 @@ def drained(df: DataFrame, mode: str = "append", each: Callable[[DataFrame], Dat
     def keep(batch: DataFrame, number: int) -> None:
         (each(batch) if each else batch).withColumn("__batch", F.lit(number)).write.mode("append").parquet(f"{folder}/out")
 
-    df.sparkSession.createDataFrame([], df.schema).withColumn("__batch", F.lit(0)).write.mode("append").parquet(f"{folder}/out")
+    if each is None:  # so that an empty stream has a result with its columns
+        spark.createDataFrame([], df.schema).withColumn("__batch", F.lit(0)).write.mode("append").parquet(f"{folder}/out")
     stream = df.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True).foreachBatch(keep).start()
     stream.awaitTermination()
     out = spark.read.parquet(f"{folder}/out")

@@ -350,3 +350,14 @@ def _(spark, d):
     """Events that a trace of four fifths of the table does not know."""
     known = table(spark, d, "events").filter("event_id % 5 <> 0")
     return streams.drained(streams.unknown_labels(streams.events(spark, d), known, "event_id").select("event_id"))
+
+
+@registered("stream_traced", "SELECT CAST(event_id AS VARCHAR) AS lbl, event_type AS kind FROM events WHERE value > 100")
+def _(spark, d):
+    """A query evaluated and traced batch by batch; the stored trace has the iterations that passed."""
+    from backtrail.plans.expr import rec, select
+    from backtrail.plans.expr import table as bag_table
+
+    query = select(bag_table("events"), lambda e: w.f(e, "value") > 100, lambda e: rec(kind=w.f(e, "event_type")))
+    step = streams.traced(lambda _: query, "events", "event_id", scratch(spark), ["event_id", "event_type", "value"])
+    return streams.drained(streams.events(spark, d), each=step)

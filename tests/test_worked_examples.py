@@ -136,3 +136,18 @@ def test_types(cat):
     for wrong in (each("x", table("R"), bag(rec(A=f(x, "Z")))), when(lit(3), bag(rec(A=1))), f(table("R"), "A"), Each("x", lit(1), bag(x)), union(bag(rec(A=1)), bag(rec(B=1)))):
         with pytest.raises(TypeError):
             typecheck(wrong, kinds)
+
+
+def test_texts_and_types_of_runs(cat, tmp_path):
+    from backtrail.operators.measure import probe_precision, stored_bytes
+    from backtrail.operators.runs import render_trace, typecheck_trace
+    from backtrail.operators.slicing import render_diff
+
+    run = trace(SELECT, cat, "lazy", "full")
+    assert "[11] (x.B = 3) is false: else" in render_trace(run) and "[12] (x.B = 3) is true: then" in render_trace(run)
+    assert typecheck_trace(run) == [] and typecheck_trace(trace(CONST, cat)) == []
+    assert stored_bytes(run, str(tmp_path / "t")) > 0 and stored_bytes(trace(SELECT, cat), str(tmp_path / "u")) == 0
+    inner, outer = Target.cells(run, {"12": []}), Target.cells(run, {"12": ["B"]})
+    assert render_diff(inner, outer) == "∪{if (x.B = 3) then {<A: □, B: [x.C]>} else □ | x ∈ R}"
+    hit, total = probe_precision(run, outer)
+    assert 0 < hit <= total == 2
