@@ -7,8 +7,8 @@ Anchors are the words of the Hamming code over the lowest 63 bits.  It is perfec
 anchor at distance 0 or 1.  Two linked fingerprints have a point half way, at most one bit from either, and that point's
 anchor is within 1 + 1 bits of both.  So it is enough to send every fingerprint to all anchors within two bits, half the
 threshold beyond the covering radius, when both sides of a pair are sent: at most 32 copies (a code word: one).
-All 2^57 anchors exist, so an anchor gathers close fingerprints only: at most 4,034 different ones can lie within two bits of
-it on 63 bits (times two for the free bit), however large the corpus.  That bounds every group; nothing is capped.
+All 2^57 anchors exist, so an anchor gathers close fingerprints only: 2,017 patterns of 63 bits lie within two bits of it, with the
+free bit 4,034 fingerprints, however large the corpus.  That bounds every group; nothing is capped.
 
 Only distinct fingerprints are compared.  Inside an anchor, links are found exactly and left as a star per local component,
 which keeps all connections without all pairs; global components follow from the stars.
