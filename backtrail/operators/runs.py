@@ -115,7 +115,7 @@ def trace_frame(block: Block, cat: Catalog, step: int, level: str) -> DataFrame:
     """``(label columns of the generators so far, branch)`` of the guard at ``step``; the else branch stays implicit at level ``taken``."""
     guard = block.steps[step]
     labels = [c for g in block.gens if block.steps.index(g) < step for c in plan.gen_labels(cat, g)]
-    if level == "taken" or not isinstance(step, int):
+    if level == "taken":
         positive = Guard(guard.site, guard.cond, True, guard.depth)
         return plan.frame(Block((*block.steps[:step], positive)), cat).select(*labels, F.lit(True).alias("branch"))
     if aggregates(guard.cond):

@@ -254,8 +254,8 @@ def _inner_demands(into: _Demands, run: Run, outer: Block, rows: DataFrame, agg:
     labels = plan.all_labels(outer, cat)
     kept = kept.join(rows.select(*labels, level.alias("__level")).filter("__level > 0"), labels)
     for block in agg.bag.blocks:
-        inner, outside = plan._inner_parts(block)
-        cond = reduce(lambda a, b: a & b, [plan._test(g) for g in outside], F.lit(True))
+        inner, outside = plan.inner_parts(block)
+        cond = reduce(lambda a, b: a & b, [plan.test_of(g) for g in outside], F.lit(True))
         members = kept.join(plan.frame(inner, cat), cond)
         any_outer = kept.agg(F.max("__level").alias("__any")).filter("__any is not null")
         for gen in block.gens:

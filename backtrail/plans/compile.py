@@ -61,7 +61,7 @@ def _joined(df: DataFrame | None, other: DataFrame) -> DataFrame:
     return other if df is None else df.crossJoin(other)
 
 
-def _inner_parts(block: Block) -> tuple[Block, list[Guard]]:
+def inner_parts(block: Block) -> tuple[Block, list[Guard]]:
     """An inner block without the guards that use outside generators; and these."""
     own = {g.var for g in block.gens}
     steps, outside = [], []
@@ -89,7 +89,7 @@ def _equal_sides(guard: Guard, own: set[str]) -> tuple[Expr, Expr] | None:
     return None
 
 
-def _test(guard: Guard, lifted: dict | None = None) -> Column:
+def test_of(guard: Guard, lifted: dict | None = None) -> Column:
     cond = column(guard.cond, lifted)  # null counts as false; a filter drops it, so equalities stay join keys
     return cond if guard.taken else ~F.coalesce(cond, F.lit(False))
 
@@ -97,8 +97,8 @@ def _test(guard: Guard, lifted: dict | None = None) -> Column:
 def _emptiness(df: DataFrame, cat: Catalog, test: IsEmpty, empty: bool) -> DataFrame:
     """Rows of ``df`` for which the inner bag is empty, or is not."""
     for block in test.bag.blocks if empty else test.bag.blocks[:1]:
-        inner, outside = _inner_parts(block)
-        cond = reduce(lambda a, b: a & b, [_test(g) for g in outside], F.lit(True))
+        inner, outside = inner_parts(block)
+        cond = reduce(lambda a, b: a & b, [test_of(g) for g in outside], F.lit(True))
         df = df.join(frame(inner, cat), cond, "left_anti" if empty else "left_semi")
     if not empty and len(test.bag.blocks) != 1:
         raise NotImplementedError("a non-emptiness test takes one block")
@@ -110,7 +110,7 @@ def _with_aggregate(df: DataFrame, cat: Catalog, agg: Agg, n: int) -> tuple[Data
     name = f"__agg{n}"
     parts = []
     for block in agg.bag.blocks:
-        inner, outside = _inner_parts(block)
+        inner, outside = inner_parts(block)
         sides = [_equal_sides(g, {x.var for x in inner.gens}) for g in outside]
         if not all(sides):
             raise NotImplementedError("aggregates correlate by equalities")
@@ -143,7 +143,7 @@ def guarded(df: DataFrame, cat: Catalog, guard: Guard) -> DataFrame:
         return _emptiness(df, cat, guard.cond.args[0], not guard.taken)
     before = df.columns
     df, lifted = with_aggregates(df, cat, guard.cond)
-    return df.filter(_test(guard, lifted)).select(*before)
+    return df.filter(test_of(guard, lifted)).select(*before)
 
 
 def frame(block: Block, cat: Catalog, steps: int | None = None, start: DataFrame | None = None) -> DataFrame:
