@@ -35,15 +35,29 @@ def _codes(found: Column) -> Column:
     return F.transform(found, lambda w: F.xxhash64(w))
 
 
+def _pairs(codes: Column) -> Column:
+    """A hash of every word with the one before it; the first has none."""
+    return F.transform(codes, lambda c, i: F.xxhash64(c, F.get(codes, i - 1)))
+
+
+def _bucket(code: Column) -> Column:
+    return F.pmod(code, F.lit(BUCKETS)).cast("int")
+
+
 def _grams(codes: Column) -> Column:
     """Bucket of every word, then of every pair of adjacent words; ``codes`` is bound."""
-    single = F.transform(codes, lambda c: F.pmod(c, F.lit(BUCKETS)).cast("int"))
-    pair = F.transform(codes, lambda c, i: F.pmod(F.xxhash64(c, F.get(codes, i - 1)), F.lit(BUCKETS)).cast("int"))
-    return F.concat(single, F.slice(pair, 2, F.greatest(F.size(pair) - 1, F.lit(0))))
+    rest = F.greatest(F.size(codes) - 1, F.lit(0))
+    return F.concat(F.transform(codes, _bucket), F.slice(F.transform(_pairs(codes), _bucket), 2, rest))
+
 
+def _weight(codes: Column, pairs: Column, weights: Column) -> Column:
+    """Summed weight of all n-grams; both arrays are bound."""
+    first = F.aggregate(codes, F.lit(0).cast("long"), lambda s, c: s + F.get(weights, _bucket(c)))
+    return F.aggregate(F.slice(pairs, 2, F.greatest(F.size(pairs) - 1, F.lit(0))), first, lambda s, c: s + F.get(weights, _bucket(c)))
 
-def repeated_words(codes: Column) -> Column:
-    """Words that lie in a window of five words found twice or more; ``codes`` is bound."""
+
+def repeated_words(codes: Column, pairs: Column) -> Column:
+    """Words that lie in a window of five words found twice or more; both arrays are bound.  A window is two pairs and a word."""
 
     def covered(windows: Column) -> Column:
         def marked(ranked: Column) -> Column:
@@ -55,7 +69,7 @@ def repeated_words(codes: Column) -> Column:
         return F.when(F.size(F.array_distinct(windows)) == F.size(windows), F.lit(0)).otherwise(let(ranked, marked))
 
     starts = F.slice(codes, 1, F.greatest(F.size(codes) - (WINDOW - 1), F.lit(0)))
-    return let(F.transform(starts, lambda c, i: F.xxhash64(c, *[F.get(codes, i + k) for k in range(1, WINDOW)])), covered)
+    return let(F.transform(starts, lambda c, i: F.xxhash64(F.get(pairs, i + 1), F.get(pairs, i + 3), F.get(codes, i + 4))), covered)
 
 
 def _dup_lines(text: Column) -> Column:
@@ -63,8 +77,8 @@ def _dup_lines(text: Column) -> Column:
     return let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x)))
 
 
-def measures(text: Column, weights: Column | None = None) -> Column:
-    """Struct of the base measures of a text and, with bucket weights, of its summed weight."""
+def measures(text: Column, weights: Column) -> Column:
+    """Struct of the base measures of a text, and of its summed weight."""
     whole = F.coalesce(text, F.lit(""))
     fields = [
         F.length(F.translate(whole, SPACE, "")).cast("long").alias("word_chars"),
@@ -72,13 +86,20 @@ def measures(text: Column, weights: Column | None = None) -> Column:
         _dup_lines(whole).cast("long").alias("n_dup_lines"),
     ]
 
-    def counted(codes: Column) -> Column:
-        parts = [F.size(codes).cast("long").alias("n_words"), repeated_words(codes).cast("long").alias("n_repeat_words")]
-        if weights is not None:
-            parts.append(F.aggregate(_grams(codes), F.lit(0).cast("long"), lambda s, b: s + F.get(weights, b)).alias("weight"))
+    def counted(codes: Column, pairs: Column) -> Column:
+        parts = [F.size(codes).cast("long").alias("n_words"), repeated_words(codes, pairs).cast("long").alias("n_repeat_words"), _weight(codes, pairs, weights).alias("weight")]
         return F.struct(*parts)
 
-    return F.struct(*fields, let(_codes(words(whole)), counted).alias("counted"))
+    return F.struct(*fields, let(_codes(words(whole)), lambda codes: let(_pairs(codes), lambda pairs: counted(codes, pairs))).alias("counted"))
+
+
+def score(text: Column, weights: Column) -> Column:
+    """Length-normalised log-likelihood ratio alone; null without words."""
+
+    def scored(codes: Column, pairs: Column) -> Column:
+        return F.when(F.size(codes) > 0, _weight(codes, pairs, weights) / (F.lit(float(UNIT)) * (2 * F.size(codes) - 1)))
+
+    return let(_codes(words(F.coalesce(text, F.lit("")))), lambda codes: let(_pairs(codes), lambda pairs: scored(codes, pairs)))
 
 
 def _sample(labels: DataFrame, id_col: str) -> DataFrame:
@@ -146,7 +167,7 @@ class QualityRules:
         for k, own in enumerate(folds):
             others = bucket_weights(raw, [t - o for t, o in zip(total, own)])
             weights = F.when(F.col("__fold") == k, _literal(others)).otherwise(weights)
-        scored = texts.select("__good", let(measures(F.col("__text"), weights), cls._score).alias("score"))
+        scored = texts.select("__good", score(F.col("__text"), weights).alias("score"))
         found = [(r[0], r[1]) for r in scored.filter("score is not null").collect()]
         return cls(bucket_weights(raw, total), best_threshold([s for g, s in found if g > 0], [s for g, s in found if g <= 0]))
 
@@ -155,7 +176,7 @@ class QualityRules:
 
     def score(self, text: Column) -> Column:
         """Length-normalised log-likelihood ratio; null without words."""
-        return let(measures(text, self._weights()), self._score)
+        return score(text, self._weights())
 
     @staticmethod
     def _score(m: Column) -> Column:
