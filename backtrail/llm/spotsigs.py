@@ -17,18 +17,19 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import json
 import math
 import re
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from backtrail.llm.common import batches, once
+from backtrail.llm.common import batches, let, once
 
-STRIDE, CHAIN, STRETCH, MEMO = 1, 2, 12, 500_000
+STRIDE, CHAIN, STRETCH, MEMO, MOST_PARTS = 1, 2, 12, 500_000, 50_000
 #: Fixed common words of the four languages.
 ANCHORS = frozenset(
     "the of and a in to is was it for with on as by at this that from an be are not or "
@@ -119,37 +120,37 @@ def in_turn(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     as the one after its end.  ``place``: 0 own row, 1 row after the part's end.
     """
     rows = df.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    spark = df.sparkSession
-    wanted = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    shares = [i / wanted for i in range(1, wanted)]
-    found, top, nulls = rows.agg(F.percentile_approx("id", shares, 100 * wanted), F.max("id"), F.count_if(F.col("id").isNull())).first()
+    wanted = min(max(4 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 2), MOST_PARTS)
+    shares = F.from_json(F.lit(json.dumps([i / wanted for i in range(1, wanted)])), "array<double>")
+    found, top = rows.agg(F.percentile_approx("id", shares, max(10_000, 20 * wanted)), F.max("id")).first()
     cuts = sorted(set(found or []) - {top})
-    if not cuts:
-        part = F.lit(0)
-    else:
-        # Part 0 holds the ids above the highest cut, the last part the lowest ids and nulls.
-        bounds = F.array(*[F.lit(c) for c in cuts])
-        below = F.size(F.filter(bounds, lambda c: c >= F.col("id"))) if len(cuts) < 64 else _below(cuts)
-        part = F.coalesce(below, F.lit(len(cuts)))
-    spread = rows.withColumn("part", part)
-    ends = F.array(F.struct(F.col("part").alias("part"), F.lit(0).alias("place")))
-    if cuts:
-        ends = F.when(F.col("id").isin(cuts), F.array(F.struct(F.col("part").alias("part"), F.lit(0).alias("place")), F.struct((F.col("part") - 1).alias("part"), F.lit(1).alias("place")))).otherwise(ends)
-    if top is not None:
-        ends = F.when(F.col("id") == top, F.array_append(ends, F.struct(F.lit(len(cuts)).alias("part"), F.lit(2).alias("place")))).otherwise(ends)
-    return spread.select(F.explode(ends).alias("end"), "id", "text").select("end.part", "end.place", "id", "text")
-
-
-def _below(cuts):
-    """Number of cuts at or above an id: by width buckets of a binary search over literals."""
-
-    def search(low: int, high: int):
-        if low == high:
-            return F.lit(len(cuts) - low)
-        middle = (low + high) // 2
-        return F.when(F.col("id") <= cuts[middle], search(low, middle)).otherwise(search(middle + 1, high))
-
-    return F.when(F.col("id").isNotNull(), search(0, len(cuts)))
+    place = lambda part, kind: F.struct(part.cast("int").alias("part"), F.lit(kind).alias("place"))
+    last = F.lit(len(cuts))
+
+    def ends(found) -> Column:
+        part = F.coalesce(found["below"], last)
+        out = F.when(found["cut"], F.array(place(part, 0), place(part - 1, 1))).otherwise(F.array(place(part, 0)))
+        return F.when(F.col("id") == F.lit(top), F.array_append(out, place(last, 2))).otherwise(out)
+
+    # Part 0 holds the ids above the highest cut, the last part the lowest ids and nulls.
+    spread = rows.select(F.explode(let(_located(cuts, df.schema[id_col].dataType.simpleString()), ends)).alias("end"), "id", "text")
+    return spread.select("end.part", "end.place", "id", "text")
+
+
+def _located(cuts: list, kind: str) -> Column:
+    """Struct of the number of cuts at or above an id, null for a null one, and of whether it is a cut: a search in two levels."""
+    width = max(1, math.isqrt(len(cuts)))
+    blocks = [cuts[i : i + width] for i in range(0, len(cuts), width)]
+    after = [len(cuts) - min((i + 1) * width, len(cuts)) for i in range(len(blocks))]
+    constant = lambda value, of: F.from_json(F.lit(json.dumps(value)), of)
+    block_of = F.size(F.filter(constant([b[-1] for b in blocks], f"array<{kind}>"), lambda m: m < F.col("id")))
+
+    def within(at: Column) -> Column:
+        own = F.get(constant(blocks, f"array<array<{kind}>>"), at)
+        below = F.coalesce(F.size(F.filter(own, lambda c: c >= F.col("id"))), F.lit(0)) + F.coalesce(F.get(constant(after, "array<int>"), at), F.lit(0))
+        return F.struct(F.when(F.col("id").isNotNull(), below).alias("below"), F.coalesce(F.array_contains(own, F.col("id")), F.lit(False)).alias("cut"))
+
+    return let(block_of, within)
 
 
 class _Neighbours:

@@ -178,6 +178,15 @@ def test_edited_texts_and_likeness(docs, corpus):
             assert r["near_edited"] == pytest.approx(jaccard(own, new)) and r["near_next"] == pytest.approx(jaccard(own, its))
 
 
+def test_rows_fall_between_many_cuts(spark):
+    """Places among cuts, by the two-level search, beside plain counting."""
+    ids = [i * i for i in range(60)] + [None, 5, 7000]
+    for cuts in ([9], [1, 4, 9, 16, 25], [i * i for i in range(1, 50)]):
+        df = spark.createDataFrame([(i,) for i in ids], "id long").select("id", spotsigs._located(cuts, "bigint").alias("x"))
+        for i, (below, cut) in df.collect():
+            assert below == (None if i is None else sum(c >= i for c in cuts)) and cut == (i in cuts)
+
+
 def test_edited_texts_with_repeats_and_nulls(docs, none):
     found = rows(spotsigs.compare_edited(docs))
     assert len(found) == docs.count()
