@@ -41,3 +41,22 @@ def components(links: DataFrame) -> DataFrame:
         if before == mark:
             break
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+
+
+def marked(df: DataFrame) -> DataFrame:
+    """``df`` with ``__row``, a hash of all columns that tells rows of one id apart."""
+    return df.withColumn("__row", F.xxhash64(*df.columns))
+
+
+def keep_least(rows: DataFrame, named: DataFrame, joined: DataFrame, id_col: str) -> DataFrame:
+    """Of each component one of the ``marked`` rows, and all rows without an id.
+
+    ``named(key struct(id, row), fp)`` has the node of every row, ``joined(node, root)`` the components.  The row of the smallest
+    (id, fp, row) is kept; rows of one id in different components all stay.
+    """
+    classes = named.filter("key.id is not null").join(joined, named["fp"] == joined["node"], "left")
+    least = classes.groupBy(F.coalesce("root", "fp").alias("root")).agg(F.min(F.struct("key.id", "fp", "key.row")).alias("least"))
+    kept = least.select(F.col("least.id").alias("__id"), F.col("least.row").alias("__least"))
+    here = (rows[id_col] == kept["__id"]) & (rows["__row"] == kept["__least"])
+    found = rows.join(kept, here, "left_semi").dropDuplicates([id_col, "__row"])
+    return found.unionByName(rows.filter(F.col(id_col).isNull())).drop("__row")

@@ -12,7 +12,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from backtrail.llm import byte_bpe, mixing, pii, simhash
+from backtrail.llm import byte_bpe, mixing, near_copies, pii
 from backtrail.llm.common import shared_folder, table
 from backtrail.llm.quality import QualityRules
 
@@ -25,8 +25,8 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest id, of every group of linked fingerprints."""
-    return simhash.keep_one(docs)
+    """One document, of the smallest id, of every group of texts linked by five-word shingles at Jaccard 0.8 or more."""
+    return near_copies.keep_one(docs)
 
 
 def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
