@@ -66,6 +66,16 @@ def _(spark, d):
     return joins.interval_join(left, right, ["p_brand"], "s", "e", "s2", "e2", 3).select("a", "b")
 
 
+@registered("surface_interval_join_all", "SELECT a.p_partkey AS a, count(*) AS n, CAST(sum(b.p_partkey) AS BIGINT) AS keys FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_size < b.p_size + 3 AND b.p_size < a.p_size + 3 GROUP BY 1")
+def _(spark, d):
+    """The interval join over all parts; of each part the number of its partners and the sum of their keys."""
+    part = table(spark, d, "part")
+    left = part.select(F.col("p_partkey").alias("a"), "p_brand", F.col("p_size").alias("s"), (F.col("p_size") + 3).alias("e"))
+    right = part.select(F.col("p_partkey").alias("b"), "p_brand", F.col("p_size").alias("s2"), (F.col("p_size") + 3).alias("e2"))
+    pairs = joins.interval_join(left, right, ["p_brand"], "s", "e", "s2", "e2", 3)
+    return pairs.groupBy("a").agg(F.count("*").alias("n"), F.sum("b").alias("keys"))
+
+
 @registered("surface_asof_join", "SELECT a.event_id, b.cents FROM (SELECT * FROM events WHERE event_type = 'view') a ASOF LEFT JOIN (SELECT user_id, ts, max(CAST(round(value * 100) AS BIGINT)) AS cents FROM events WHERE event_type = 'purchase' GROUP BY user_id, ts) b ON a.user_id = b.user_id AND a.ts >= b.ts")
 def _(spark, d):
     """Each view with the user's last purchase before it."""
