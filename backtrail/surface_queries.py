@@ -122,6 +122,13 @@ def _(spark, d):
     return a.join(b, F.col("c_nationkey") == F.col("s_nationkey"), "full")
 
 
+@registered("surface_full_join_all", "SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON floor(c_acctbal) = floor(s_acctbal)")
+def _(spark, d):
+    """Whole tables, matched by balance in whole units; both sides have rows without a match."""
+    a, b = table(spark, d, "customer").select("c_custkey", "c_acctbal"), table(spark, d, "supplier").select("s_suppkey", "s_acctbal")
+    return a.join(b, F.floor("c_acctbal") == F.floor("s_acctbal"), "full").select("c_custkey", "s_suppkey")
+
+
 @registered("surface_join_strategies", "SELECT o_orderstatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 def _(spark, d):
     """A merge join asked for by a hint; broadcast only behind a count."""

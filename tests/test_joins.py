@@ -18,3 +18,20 @@ def test_contains_join_of_many_items(spark):
         found = joins.contains_join(left, right, "text", "item", most=most).select("doc", "nr").collect()
         assert Counter(map(tuple, found)) == expected, most
     assert joins.contains_join(left, right.withColumn("item", F.concat("item", F.lit("#"))), "text", "item", most=2).count() == 0
+
+
+def test_full_join_covers_both_tables(spark):
+    from backtrail.surface_queries import QUERIES
+
+    d = "/root/testdata/sf0.01"
+    rows = QUERIES["surface_full_join_all"](spark, d).collect()
+    assert len({r["c_custkey"] for r in rows} - {None}) == spark.read.parquet(f"{d}/customer.parquet").count()
+    assert len({r["s_suppkey"] for r in rows} - {None}) == spark.read.parquet(f"{d}/supplier.parquet").count()
+    assert any(r["c_custkey"] is None for r in rows) and any(r["s_suppkey"] is None for r in rows)
+
+
+def test_interval_join_covers_all_parts(spark):
+    from backtrail.surface_queries import QUERIES
+
+    d = "/root/testdata/sf0.01"
+    assert QUERIES["surface_interval_join_all"](spark, d).count() == spark.read.parquet(f"{d}/part.parquet").count()
