@@ -7,9 +7,9 @@ scores, so a batch is scored by gathering rows of three small tables.
 Decoding is exact Viterbi in numpy batches.  A word whose margin for "nothing" exceeds all that transitions could return is
 certainly nothing on the best path; such words part a text into short runs, which are decoded side by side.
 
-Base spans (e-mail, ip, card, phone) always stay.  A decoded span is added if its kind is in ``ADDED`` and it overlaps no base
-span.  The base kinds are learnt too, since they compete for the same words, but by default only secrets are added: what looks like
-a card but fails the check digit is to be left alone.
+Base spans (e-mail, ip, card, phone) always stay.  A decoded span, of whatever kind, is added if it overlaps no base span: local phone
+numbers, secrets, and numbers that a base pattern runs together with what stands beside them.  A decoded card or ip must be one by its
+check digit or range: what only looks like it is to be left alone.
 
 Defined results: null texts are empty and have no spans; offsets are code points, end exclusive; equal rows get equal rows;
 other columns are not read (``redact`` returns all of them).
@@ -31,7 +31,6 @@ from backtrail.llm.common import batches, once
 
 BASE = ("email", "ip", "card", "phone")
 KINDS = (*BASE, "secret")
-ADDED = ("secret",)
 LABELS = ("O", *(f"{p}-{k}" for k in KINDS for p in "BI"))
 FEATURES, MAX_TRAINING, ROUNDS, RATE, PENALTY, MEMO = 4096, 20_000, 60, 0.25, 0.02, 300_000
 
@@ -51,6 +50,11 @@ def _digits(text: str) -> str:
     return "".join(c for c in text if "0" <= c <= "9")
 
 
+def _octets(text: str) -> bool:
+    """Whether all parts are at most 255, however many zeros lead them."""
+    return all(len(p) <= 3 and int(p or "0") <= 255 for p in (p.lstrip("0") for p in text.split(".")))
+
+
 def base_spans(text: str) -> list[tuple[int, int, int]]:
     """``(start, kind index, end)`` of the base patterns, leftmost and non-overlapping per kind, in time linear in the text."""
     out, end = [], 0
@@ -64,7 +68,7 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
                 end = m.end()
     if any(c in text for c in "0123456789"):
         for m in _IP.finditer(text):
-            if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m[0].split(".")):
+            if _octets(m[0]):
                 out.append((m.start(), 1, m.end()))
         for m in _CARD.finditer(text):
             if m.end() - m.start() >= 14 and 14 <= len(d := _digits(m[0])) <= 19 and luhn(d):
@@ -93,8 +97,6 @@ def _runs(core: str) -> str:
                 out.append(kind)
             last, length = kind, 0
         length += 1
-        if len(out) > 24:
-            break
     return "".join(out)
 
 
@@ -155,8 +157,9 @@ def labelled_rows(sentences: int, seed: int) -> list[tuple]:
         if kind == "card":
             return pick((number(True), dealt(number(True), " "), dealt(number(True), "-"))), kind
         if kind == "phone":
-            return pick((f"+1 ({digits(3)}) 555-{digits(4)}", f"+49 {digits(3)} {digits(7)}", f"+{digits(11)}", f"({digits(3)}) {digits(3)}-{digits(4)}")), kind
-        return pick((hexed(40), hexed(32), hexed(64), pick("AZ") + hexed(19).upper(), word() + digits(4) + word() + digits(5) + word())), kind
+            return pick((f"+1 ({digits(3)}) 555-{digits(4)}", f"+49 {digits(3)} {digits(7)}", f"+{digits(11)}", f"({digits(3)}) {digits(3)}-{digits(4)}", f"{digits(3)}-{digits(3)}-{digits(4)}")), kind
+        coded = lambda n: "".join(pick("ABCDEFGHJKLMNPQRSTUVWXYZabcdefghijkmnopqrstuvwxyz23456789") for _ in range(n))
+        return pick((hexed(40), hexed(32), hexed(64), pick("AZ") + hexed(19).upper(), "".join(pick("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567") for _ in range(20)), coded(rng.randint(24, 44)), f"{word()[:3]}_{coded(rng.randint(20, 40))}", word() + digits(4) + word() + digits(5) + word())), kind
 
     def decoy() -> str:
         return pick((number(False), digits(rng.randint(1, 12)), f"{digits(1)}.{digits(1)}.", f"{digits(2)}.{digits(3)}", f"{digits(4)}-{digits(2)}-{digits(2)}", f"${digits(2)}.{digits(2)}", f"https://{word()}.org/{word()}/{digits(3)}", f"({word()})", word().upper() + "!!", word() + pick(("***", "&&&", "###", "%%%", "$$$")), "|", "=", '"' + word() + '"', f"{word()}-{word()}", f"{word()}={digits(1)}", f"{word()},", f"v{digits(1)}.{digits(1)}.{digits(1)}", word() + digits(1)))
@@ -174,7 +177,7 @@ def labelled_rows(sentences: int, seed: int) -> list[tuple]:
             text, kind = item()
             tail = pick(("", "", "", ".", ",", "***", "###", "&&&", "!!"))
             if kind == "secret":
-                lead = pick(("token", "key", "secret", "api_key", "password"))
+                lead = pick(("token", "key", "secret", "api_key", "password", "bearer", "access_key", "client_secret"))
                 words += [pick(((lead, "O"), (lead.upper(), "O")))] + ([("=", "O")] if rng.random() < 0.8 else [(":", "O")])
                 text = f'"{text}"' if rng.random() < 0.7 else text
             parts = (text + tail).split(" ")
@@ -355,7 +358,7 @@ class Decoder:
         for n in np.unique(np.searchsorted(begins, hits, side="right") - 1).tolist():
             i, at, line = lines[n]
             stop = starts[n + 1] if n + 1 < len(starts) else len(words)
-            cursor, open_span = 0, None
+            cursor, open_span, own = 0, None, []
             for k in range(starts[n], stop):
                 begin = line.index(words[k], cursor)
                 cursor = begin + len(words[k])
@@ -365,24 +368,43 @@ class Decoder:
                     open_span[2] = cursor
                 elif label:
                     open_span = [begin, kind, cursor]
-                    out[i].append(open_span)
+                    own.append(open_span)
                 else:
                     open_span = None
-            for span in out[i]:
-                if len(span) == 3:
-                    a, kind, b = span
-                    while a < b and line[a] in _MARKS:
-                        a += 1
-                    while b > a and line[b - 1] in _MARKS:
-                        b -= 1
-                    span[:] = [a + at, kind, b + at, True]
-        return [[tuple(s[:3]) for s in spans if s[0] < s[2]] for spans in out]
-
-
-def merged(base: list[tuple], found: list[tuple], added=ADDED) -> list[tuple]:
-    """Base spans and those found of the added kinds that overlap none of them, in order."""
-    extra = [s for s in found if KINDS[s[1]] in added and not any(s[0] < e and b < s[2] for b, _, e in base)]
-    return sorted([*base, *extra])
+            for a, kind, b in own:
+                whole = line[a:b]
+                left, right = len(whole) - len(whole.lstrip(_MARKS)), len(whole) - len(whole.rstrip(_MARKS))
+                # An opening bracket that closes inside belongs to the number.
+                left -= left > 0 and whole[left - 1] == "(" and ")" in whole[left:]
+                a, b = a + left, b - right
+                if a < b and _sound(kind, line[a:b]):
+                    out[i].append((a + at, kind, b + at))
+        return out
+
+
+def _sound(kind: int, text: str) -> bool:
+    """Whether a decoded number can be one: an ip by its range, a card by its check digit, a phone by its length."""
+    number = _digits(text)
+    match KINDS[kind]:
+        case "ip":
+            return text.count(".") == 3 and len(number) + 3 == len(text) and _octets(text)
+        case "card":
+            return 14 <= len(number) <= 19 and luhn(number)
+        case "phone":
+            return 7 <= len(number) <= 15
+    return True
+
+
+def merged(base: list[tuple], found: list[tuple]) -> list[tuple]:
+    """Base spans and those found that overlap none of them, in order; both lists are sorted, and those found do not overlap."""
+    out, k, reach = [], 0, 0  # reach: where the base spans passed so far end
+    for span in found:
+        while k < len(base) and base[k][0] < span[2]:
+            reach = max(reach, base[k][2])
+            k += 1
+        if reach <= span[0]:
+            out.append(span)
+    return sorted([*base, *out])
 
 
 def written(spans: list[tuple]) -> str:
