@@ -7,6 +7,10 @@ classified as main text, whitespace folded, are joined by newlines in page order
 
 The labeller's weights are trained by :mod:`backtrail.llm.html_training` from pages drawn by rule and kept beside this module.
 
+A page is read in linear time, whatever it holds.  Elements that browsers do not show as text (``HIDDEN``: scripts, styles, ``noscript``,
+drawings, embedded objects) are left out with all they hold if they are closed.  One that is never closed hides nothing that
+follows it, but a script's or style's own code up to the next tag; so does a comment that is never closed, up to the next ``>``.
+
 Defined results: null, empty and text-free pages give the empty string; text outside any tag is a block too; unclosed and stray
 tags are forgiven; equal rows get equal rows; other columns are not read.
 """
@@ -16,6 +20,7 @@ from __future__ import annotations
 import html
 import math
 import re
+from collections import Counter
 from pathlib import Path
 
 import numpy as np
@@ -33,56 +38,123 @@ PATH_SIZE, WORD_SIZE, PROPORTIONS, MEMO = 96, 32, 7, 200_000
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr del br img input".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 HIDDEN = frozenset("script style noscript template svg iframe object canvas math".split())
+CODE = frozenset(["script", "style"])
 #: An opening tag of the second set ends an open element of the first.
 IMPLIED = {"p": frozenset("p div ul ol dl table form section article aside nav header footer main h1 h2 h3 h4 h5 h6 blockquote pre hr address fieldset figure details".split()), "li": frozenset(["li"]), "dt": frozenset(["dt", "dd"]), "dd": frozenset(["dt", "dd"]), "td": frozenset("td th tr tbody".split()), "th": frozenset("td th tr tbody".split()), "tr": frozenset("tr tbody".split()), "option": frozenset(["option"])}
 
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>", re.S)
+_NAME = re.compile(r"[a-zA-Z][a-zA-Z0-9:-]*")
 _NAMES = re.compile(r"\b(?:class|id|role|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _WORD = re.compile(r"\w+")
+_STOP = re.compile(r"[>\"']")
 
 
-class Block:
-    __slots__ = ("path", "parts", "linked", "text")
+class Node:
+    """An open element; its path to the root is shared with its neighbours."""
+
+    __slots__ = ("parent", "name", "names", "vector")
+
+    def __init__(self, parent, name, names):
+        self.parent, self.name, self.names, self.vector = parent, name, names, None
 
-    def __init__(self, path):
-        self.path, self.parts, self.linked, self.text = path, [], 0, ""
+
+class Block:
+    __slots__ = ("node", "parts", "linked", "text")
+
+    def __init__(self, node):
+        self.node, self.parts, self.linked, self.text = node, [], 0, ""
+
+
+class _Scanner:
+    """Finds the ends of markup; what is known not to follow is never looked for again, so a page is read in linear time."""
+
+    def __init__(self, page: str):
+        self.page, self.none, self.quotes, self.last = page, set(), True, page.rfind(">")
+
+    def after(self, sign: str, at: int) -> int:
+        """Place behind the next ``sign``, or -1."""
+        if sign in self.none:
+            return -1
+        found = self.page.find(sign, at)
+        if found < 0:
+            self.none.add(sign)
+        return found + len(sign) if found >= 0 else -1
+
+    def closed(self, name: str, at: int) -> int:
+        """Place behind the closing tag of a hidden element, or -1."""
+        if name in self.none:
+            return -1
+        found = re.compile(rf"</{name}\b", re.I).search(self.page, at)
+        if found is None:
+            self.none.add(name)
+            return -1
+        return self.after(">", found.end())
+
+    def tag_end(self, at: int) -> int:
+        """Place of the tag's end; signs in quotes do not end it, unless a quotation never closes."""
+        k = at
+        while self.quotes:
+            found = _STOP.search(self.page, k)
+            if found is None:
+                break
+            if found[0] == ">":
+                return found.start()
+            k = self.page.find(found[0], found.end()) + 1
+            if not k:
+                break
+        self.quotes = False
+        return self.page.find(">", at)
 
 
 def blocks(page: str) -> list[Block]:
     """Leaf blocks with text, in page order."""
     out: list[Block] = []
-    stack: list[tuple[str, tuple]] = []
+    node, opened = None, Counter()
     current, at, links = None, 0, 0
-    end = len(page)
+    scan, end = _Scanner(page), len(page)
 
     def said(text: str) -> None:
         nonlocal current
         if text:
             if current is None:
-                current = Block(tuple(name for _, names in stack for name in names))
+                current = Block(node)
                 out.append(current)
             current.parts.append(text)
             if links:
                 current.linked += len(text)
 
-    scan = _TAG.finditer
-    tags = scan(page)
+    def close() -> None:
+        nonlocal node
+        opened[node.name] -= 1
+        node = node.parent
+
+    look = 0  # from where the next tag is looked for; what lies between ``at`` and it is text
     while True:
-        tag = next(tags, None)
-        if tag is None:
+        begin = page.find("<", look) if look <= scan.last else -1
+        if begin < 0 or begin > scan.last:
             said(page[at:end])
             break
-        said(page[at : tag.start()])
-        at = tag.end()
-        closing, name = tag[1], tag[2]
-        if name is None:
+        if page.startswith(("<!", "<?"), begin):
+            said(page[at:begin])
+            stop = scan.after("-->", begin + 4) if page.startswith("<!--", begin) else scan.after("]]>", begin) if page.startswith("<![CDATA[", begin) else -1
+            at = look = stop if stop > 0 else page.find(">", begin) + 1
+            continue
+        closing = page.startswith("/", begin + 1)
+        found = _NAME.match(page, begin + 1 + closing)
+        if found is None:
+            look = begin + 1
             continue
-        name = name.lower()
+        stop = scan.tag_end(found.end())
+        said(page[at:begin])
+        at = look = stop + 1
+        name, rest = found[0].lower(), page[found.end() : stop]
         if name in HIDDEN:
-            if not closing and not tag[3].endswith("/"):
-                stop = re.compile(rf"</{name}\b[^>]*>", re.I).search(page, at)
-                at = stop.end() if stop else end
-                tags = scan(page, at)
+            if not closing and not rest.endswith("/"):
+                stop = scan.closed(name, at)
+                if stop < 0 and name in CODE:  # never closed: its code ends before the next tag
+                    stop = page.find("<", at)
+                    stop = end if stop < 0 else stop
+                if stop >= 0:
+                    at = look = stop
             continue
         if name == "br":
             said(" ")
@@ -93,19 +165,20 @@ def blocks(page: str) -> list[Block]:
             continue
         current = None
         if closing:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == name:
-                    del stack[k:]
-                    break
+            if opened[name] > 0:
+                while node.name != name:
+                    close()
+                close()
             links = 0
         else:
-            while stack and name in IMPLIED.get(stack[-1][0], ()):
-                stack.pop()
-            if name not in VOID and not tag[3].endswith("/"):
+            while node is not None and name in IMPLIED.get(node.name, ()):
+                close()
+            if name not in VOID and not rest.endswith("/"):
                 names = [name]
-                for found in _NAMES.findall(tag[3]):
-                    names += [f".{n}" for n in re.split(r"[\s_\-]+", "".join(found).lower()) if n]
-                stack.append((name, tuple(names)))
+                for given in _NAMES.findall(rest):
+                    names += [f".{n}" for n in re.split(r"[\s_\-]+", "".join(given).lower()) if n]
+                node = Node(node, name, tuple(names))
+                opened[name] += 1
     kept = []
     for block in out:
         block.text = " ".join(html.unescape("".join(block.parts)).split())
@@ -128,20 +201,30 @@ class Reader:
     def __init__(self):
         self.paths, self.words = {}, {}
 
-    def path(self, path: tuple) -> np.ndarray:
-        if path not in self.paths:
+    def _names(self, names: tuple) -> tuple[np.ndarray, np.ndarray]:
+        """What an element adds to the paths through it, and to those that end with it."""
+        if names not in self.paths:
             if len(self.paths) > MEMO // 20:
                 self.paths.clear()
-            vector = np.zeros(PATH_SIZE)
-            last = len(path) - 1
-            for i, name in enumerate(path):
-                for part, share in ((name, 1.0), (f"last {name}", float(i == last))):
-                    if share:
-                        for seed in (3, 4):
-                            k, sign = _signed(part, PATH_SIZE, seed)
-                            vector[k] += sign * share
-            self.paths[path] = vector
-        return self.paths[path]
+            vectors = np.zeros((2, PATH_SIZE), np.float32)
+            for row, name in [*((0, n) for n in names), (1, f"last {names[-1]}")]:
+                for seed in (3, 4):
+                    k, sign = _signed(name, PATH_SIZE, seed)
+                    vectors[row, k] += sign
+            self.paths[names] = vectors[0], vectors[1]
+        return self.paths[names]
+
+    def path(self, node: Node | None) -> np.ndarray:
+        """Sum over the path's names, the last one twice; shared parts are summed once."""
+        fresh = []
+        here = node
+        while here is not None and here.vector is None:
+            fresh.append(here)
+            here = here.parent
+        for n in reversed(fresh):
+            own = self._names(n.names)[0]
+            n.vector = own if n.parent is None else n.parent.vector + own
+        return np.zeros(PATH_SIZE, np.float32) if node is None else node.vector + self._names(node.names)[1]
 
     def word(self, word: str) -> tuple[int, float]:
         if word not in self.words:
@@ -155,7 +238,7 @@ class Reader:
         for i, block in enumerate(found):
             text = block.text
             words = _WORD.findall(text.lower())
-            out[i, :PATH_SIZE] = self.path(block.path)
+            out[i, :PATH_SIZE] = self.path(block.node)
             if words:
                 pairs = [self.word(w) for w in words]
                 at, signs = zip(*pairs)
