@@ -2,11 +2,12 @@
 
 Wherever one of the common words (``ANCHORS``) stands, the chain of the next ``CHAIN`` content words, every ``STRIDE``-th one,
 forms a signature together with it.  In a stretch without common words every ``STRETCH``-th word takes their place.  The set of a text's signatures, as sorted 32-bit hashes, is its fingerprint; likeness is
-the Jaccard resemblance of two sets.  A comparison stops as soon as the lengths alone, or what is left to compare, keep it
-below the threshold asked for.
+the Jaccard resemblance of two sets.
 
-:func:`links` joins a whole corpus at a threshold: distinct sets are partitioned by length so that only neighbouring partitions can
-match, and meet where they share one of their rarest signatures (as many as must contain a shared one).
+Sets are partitioned by length (``partition``): each partition's lengths are ``1 / LEAST`` times those of the one before, so sets more than
+one partition apart can't reach the threshold.  ``alike`` compares pruned: it stops as soon as the partitions, the lengths, or what is
+left to compare decide.  :func:`compare_edited` does both for every row beside its exact likenesses; :func:`classes` joins a whole corpus:
+sets of neighbouring partitions meet where they share one of their rarest signatures, as many as must contain a shared one.
 
 Defined results: null texts are empty; an empty text has the empty set, as fingerprint the empty string; a text with words but
 without a chain has its words as signatures; two empty sets are alike to degree 1, an empty and another one 0;
@@ -27,9 +28,12 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from backtrail.llm.common import batches, let, once
+from backtrail.llm.common import batches, durable, let, once
+from backtrail.llm.components import components
 
-STRIDE, CHAIN, STRETCH, MEMO, MOST_PARTS = 1, 2, 12, 500_000, 50_000
+STRIDE, CHAIN, STRETCH, MEMO, MOST_PARTS, LEAST = 1, 2, 12, 500_000, 50_000, 0.8
+#: Signatures compared between two looks at what is left.
+STEP = 256
 #: Fixed common words of the four languages.
 ANCHORS = frozenset(
     "the of and a in to is was it for with on as by at this that from an be are not or "
@@ -83,15 +87,37 @@ def unpacked(fingerprint: str) -> np.ndarray:
     return np.frombuffer(base64.b64decode(fingerprint), "<u4")
 
 
-def likeness(a: np.ndarray, b: np.ndarray, least: float = 0.0) -> float:
-    """Jaccard resemblance of two sorted sets, or 0 where it is below ``least``; the sets' lengths often show that alone."""
+def likeness(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard resemblance of two sorted sets."""
     if not len(a) and not len(b):
         return 1.0
-    if min(len(a), len(b)) < least * max(len(a), len(b)):
-        return 0.0
     shared = len(np.intersect1d(a, b, assume_unique=True))
-    found = shared / (len(a) + len(b) - shared)
-    return found if found >= least else 0.0
+    return shared / (len(a) + len(b) - shared)
+
+
+def partition(n: int, least: float = LEAST) -> int:
+    """Number of the partition of sets with ``n`` signatures; the empty set's is -1."""
+    return -1 if n == 0 else math.floor(math.log(n) / -math.log(least) + 1e-9)
+
+
+def alike(a: np.ndarray, b: np.ndarray, least: float = LEAST) -> bool:
+    """Whether two sorted sets are alike to degree ``least`` or more, comparing no more than decides it."""
+    if not len(a) or not len(b):
+        return len(a) == len(b)
+    if abs(partition(len(a), least) - partition(len(b), least)) > 1 or min(len(a), len(b)) < least * max(len(a), len(b)) - 1e-9:
+        return False
+    need = math.ceil(least / (1 + least) * (len(a) + len(b)) - 1e-9)
+    shared = passed = 0
+    for i in range(0, len(a), STEP):
+        part = a[i : i + STEP]
+        upto = int(np.searchsorted(b, part[-1], side="right"))
+        shared += int(np.isin(part, b[passed:upto], assume_unique=True).sum())
+        passed = upto
+        if shared >= need:
+            return True
+        if shared + min(len(a) - i - len(part), len(b) - passed) < need:
+            return False
+    return False
 
 
 def edited(text: str, following: str) -> str:
@@ -120,17 +146,19 @@ def in_turn(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     as the one after its end.  ``place``: 0 own row, 1 row after the part's end.
     """
     rows = df.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    # Without any id the order is by text alone.
     wanted = min(max(4 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 2), MOST_PARTS)
     shares = F.from_json(F.lit(json.dumps([i / wanted for i in range(1, wanted)])), "array<double>")
     found, top = rows.agg(F.percentile_approx("id", shares, max(10_000, 20 * wanted)), F.max("id")).first()
     cuts = sorted(set(found or []) - {top})
+    first = F.col("id") == F.lit(top) if top is not None else F.col("text") == F.lit(rows.agg(F.min("text")).first()[0])
     place = lambda part, kind: F.struct(part.cast("int").alias("part"), F.lit(kind).alias("place"))
     last = F.lit(len(cuts))
 
     def ends(found) -> Column:
         part = F.coalesce(found["below"], last)
         out = F.when(found["cut"], F.array(place(part, 0), place(part - 1, 1))).otherwise(F.array(place(part, 0)))
-        return F.when(F.col("id") == F.lit(top), F.array_append(out, place(last, 2))).otherwise(out)
+        return F.when(first, F.array_append(out, place(last, 2))).otherwise(out)
 
     # Part 0 holds the ids above the highest cut, the last part the lowest ids and nulls.
     spread = rows.select(F.explode(let(_located(cuts, df.schema[id_col].dataType.simpleString()), ends)).alias("end"), "id", "text")
@@ -175,7 +203,8 @@ class _Neighbours:
         i, text, own, _ = self.open
         changed = edited(text, following)
         after = self.signer(changed)
-        return i, len(text), hashlib.sha256(changed.encode()).hexdigest(), packed(own), packed(after), likeness(own, after), likeness(own, its)
+        found = likeness(own, after), likeness(own, its), partition(len(own)), alike(own, after), alike(own, its)
+        return i, len(text), hashlib.sha256(changed.encode()).hexdigest(), packed(own), packed(after), *found
 
 
 def _neighbouring(schema: pa.Schema):
@@ -183,10 +212,8 @@ def _neighbouring(schema: pa.Schema):
         state = _Neighbours()
         for part in parts:
             done = list(state.rows(*(part.column(c).to_pylist() for c in ("part", "place", "id", "text"))))
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done) if done else [[]] * 7, schema.types)], schema=schema)
-        if state.open is not None and not state.open[3]:  # a last part of nulls only has no row after it
-            done = [state.compared(state.open[1], state.open[2])]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done), schema.types)], schema=schema)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*done) if done else [[]] * len(schema), schema.types)], schema=schema)
+        assert state.open is None or state.open[3]
 
     return run
 
@@ -194,7 +221,8 @@ def _neighbouring(schema: pa.Schema):
 def compare_edited(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every row's fingerprint beside those of its edited text and of the row after it, in descending order of id.
 
-    Nulls come last; equal ids stand by text; the row after the last is the first (after a null as the only id: itself).
+    ``near_*`` are exact; ``partition`` is the set's, and ``alike_*`` say whether the pruned comparison reaches ``LEAST``.  Nulls come
+    last; equal ids stand by text, in one task that reads them one by one; the row after the last is the first.
     """
     from pyspark.sql.pandas.types import to_arrow_type
 
@@ -202,45 +230,79 @@ def compare_edited(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     turn = in_turn(df, id_col, text_col)
     n = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     dealt = turn.repartition(n, "part").sortWithinPartitions("part", "place", F.col("id").desc_nulls_last(), "text")
-    schema = pa.schema([("id", to_arrow_type(kind)), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64())])
-    out = batches(dealt, _neighbouring(schema), f"id {kind.simpleString()}, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    schema = pa.schema([("id", to_arrow_type(kind)), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64()), ("partition", pa.int32()), ("alike_edited", pa.bool_()), ("alike_next", pa.bool_())])
+    out = batches(dealt, _neighbouring(schema), f"id {kind.simpleString()}, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, partition int, alike_edited boolean, alike_next boolean")
     return out.withColumnRenamed("id", id_col)
 
 
 # --- similarity join ---------------------------------------------------------------------------------------------------
 
 
-def links(prints: DataFrame, least: float = 0.8) -> DataFrame:
-    """Pairs ``(a, b, likeness)`` of different fingerprints, a < b, that are alike to degree ``least`` or more.
+def _unpacking(parts):
+    for part in parts:
+        for name, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
+            found = unpacked(text).astype(np.int64)
+            for i in range(0, len(found), 1 << 16):
+                own = found[i : i + (1 << 16)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), name)), pa.array(own), pa.array(np.full(len(own), len(found), np.int32))], ["name", "signature", "n"])
 
-    ``prints`` has a column ``fingerprint``.  Two sets alike to degree t share one of the first n - ceil(t n) + 1 signatures of
-    each in any common order; the order here is from the rarest, counted over all distinct fingerprints.  Empty sets link nowhere.
-    """
-    if not 0 < least <= 1:
-        raise ValueError("the threshold is above 0 and at most 1")
-    sets = batches(prints.select("fingerprint").filter("fingerprint <> ''").distinct(), _unpacking, "fingerprint string, signature long, n int")
-    counts = sets.groupBy("signature").agg(F.count("*").alias("held"))
-    rank = F.row_number().over(Window.partitionBy("fingerprint").orderBy("held", "signature"))
-    leading = sets.join(counts, "signature").withColumn("rank", rank).filter(F.col("rank") <= F.col("n") - F.ceil(least * F.col("n") - 1e-9) + 1)
-    # Partitions of set length, each 1 / least as long as the one before: sets more than one partition apart can't match.
-    grade = F.floor(F.log(F.col("n").cast("double")) / (-math.log(least) if least < 1 else 1e-9)).cast("long")
-    keyed = leading.filter("held > 1").select("fingerprint", "signature", "n", grade.alias("grade"))
-    left = keyed.select(F.col("fingerprint").alias("a"), "signature", F.col("n").alias("na"), F.explode(F.sequence(F.col("grade") - 1, F.col("grade") + 1)).alias("grade"))
-    right = keyed.select(F.col("fingerprint").alias("b"), "signature", F.col("n").alias("nb"), "grade")
-    near = (F.col("a") < F.col("b")) & (F.least("na", "nb") >= least * F.greatest("na", "nb") - 1e-9)
-    pairs = left.join(right, ["signature", "grade"]).filter(near).select("a", "b").distinct()
-
-    def compared(parts):
+
+def _comparing(least: float):
+    def run(parts):
         for part in parts:
-            a, b = part.column(0).to_pylist(), part.column(1).to_pylist()
-            found = [likeness(unpacked(x), unpacked(y), least) for x, y in zip(a, b)]
-            yield pa.RecordBatch.from_arrays([*part.columns, pa.array(found, pa.float64())], ["a", "b", "likeness"])
+            found = [alike(unpacked(x), unpacked(y), least) for x, y in zip(part.column(2).to_pylist(), part.column(3).to_pylist())]
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1)], ["u", "v"]).filter(pa.array(found, pa.bool_()))
 
-    return batches(pairs, compared, "a string, b string, likeness double").filter("likeness > 0")
+    return run
 
 
-def _unpacking(parts):
-    for part in parts:
-        for text in part.column(0).to_pylist():
-            found = unpacked(text).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array([text] * len(found)), pa.array(found), pa.array(np.full(len(found), len(found), np.int32))], ["fingerprint", "signature", "n"])
+def links(sets: DataFrame, least: float = LEAST) -> DataFrame:
+    """Links ``(u, v)`` between names of ``sets(name, fingerprint)`` that connect exactly what pairs alike to ``least`` or more connect.
+
+    Two sets alike to degree t share one of the first n - ceil(t n) + 1 signatures of each in any common order; the order here is
+    from the rarest, counted over all sets.  Only names and signatures are exploded; fingerprints join the pairs that remain.  In a
+    signature's group every member is compared with the smallest and the largest; then all pairs that are not yet in one component.
+    """
+    if not 0 < least < 1:
+        raise ValueError("the threshold is between 0 and 1")
+    spread = batches(sets.filter("fingerprint <> ''").select("name", "fingerprint"), _unpacking, "name long, signature long, n int")
+    counts = spread.groupBy("signature").agg(F.count("*").alias("held")).filter("held > 1")
+    # A signature that one set holds alone leads nobody to it, but takes its place among the rarest.
+    ranked = spread.join(counts, "signature", "left").select("name", "signature", "n", F.coalesce("held", F.lit(1)).alias("held"))
+    rank = F.row_number().over(Window.partitionBy("name").orderBy("held", "signature"))
+    leading = ranked.withColumn("rank", rank).filter((F.col("rank") <= F.col("n") - F.ceil(least * F.col("n") - 1e-9) + 1) & (F.col("held") > 1))
+    grade = F.floor(F.log(F.col("n").cast("double")) / -math.log(least) + 1e-9).cast("int")
+    members = durable(leading.select("name", "n", "signature", F.explode(F.array(grade, grade + 1)).alias("grade")))
+    key = ["signature", "grade"]
+
+    def confirmed(pairs: DataFrame) -> DataFrame:
+        left, right = sets.select(F.col("name").alias("u"), F.col("fingerprint").alias("a")), sets.select(F.col("name").alias("v"), F.col("fingerprint").alias("b"))
+        return durable(batches(pairs.join(left, "u").join(right, "v").select("u", "v", "a", "b"), _comparing(least), "u long, v long"))
+
+    ends = members.groupBy(*key).agg(F.min(F.struct("name", "n")).alias("low"), F.max(F.struct("name", "n")).alias("high")).filter("low.name < high.name")
+    pair = lambda a, b: F.struct(a["name"].alias("u"), b["name"].alias("v"), a["n"].alias("m"), b["n"].alias("n"))
+    own = F.struct("name", "n")
+    near = (F.col("u") < F.col("v")) & (F.least("m", "n") >= least * F.greatest("m", "n") - 1e-9)
+    first = members.join(ends, key).select(F.explode(F.array(pair(F.col("low"), own), pair(own, F.col("high")))).alias("p")).select("p.*")
+    first = durable(first.filter(near).select("u", "v").distinct())
+    found = confirmed(first)
+    rooted = members.join(components(found), F.col("name") == F.col("node"), "left").select(*key, "name", "n", F.coalesce("root", "name").alias("root"))
+    apart = rooted.groupBy(*key).agg(F.min("root").alias("a"), F.max("root").alias("b")).filter("a < b").select(*key)
+    left = durable(rooted.join(apart, key, "left_semi"))
+    right = left.select(*key, F.col("name").alias("v"), F.col("n").alias("m"), F.col("root").alias("other"))
+    rest = left.withColumnRenamed("name", "u").join(right, key).filter(near & (F.col("root") != F.col("other"))).select("u", "v").distinct()
+    return found.unionAll(confirmed(rest.join(first, ["u", "v"], "left_anti")))
+
+
+def classes(df: DataFrame, least: float = LEAST, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id_col, partition, n_signatures, class_id)`` of every row: its class's smallest id, classes being linked by ``least`` or more.
+
+    Empty texts, whose sets are empty, are one class; a class whose rows have no id has a null one.  Sets are told apart by a hash of 64 bits.
+    """
+    size = F.floor(F.length(F.unbase64("fingerprint")) / 4).cast("int")
+    named = durable(fingerprints(df, id_col, text_col).select(id_col, F.xxhash64("fingerprint").alias("name"), "fingerprint", size.alias("n_signatures")))
+    sets = named.groupBy("name").agg(F.min("fingerprint").alias("fingerprint"), F.min(id_col).alias("least_id"))
+    of = sets.join(components(links(sets, least)), F.col("name") == F.col("node"), "left").select("name", "least_id", F.coalesce("root", "name").alias("root"))
+    roots = of.groupBy("root").agg(F.min("least_id").alias("class_id"))
+    grade = F.when(F.col("n_signatures") > 0, F.floor(F.log(F.col("n_signatures").cast("double")) / -math.log(least) + 1e-9)).otherwise(-1).cast("int")
+    return named.join(of.join(roots, "root").select("name", "class_id"), "name").select(id_col, grade.alias("partition"), "n_signatures", "class_id")
