@@ -4,8 +4,8 @@ Shards take turns; each claims the next free slot of its own permutation of a pr
 one between shards, and a shard that leaves gives up few slots but its own.  The table has a fixed size (``SLOTS`` rows), so
 it is broadcast, and placing a row is one probe.
 
-Rows are placed by a key's hash, not by its value, and equal keys share a shard.  Defined results: a null key goes to slot
-0's shard; empty tables give empty results; equal rows get equal shards; ``place`` keeps all columns of its input and adds
+Rows are placed by a key's hash, not by its value, and equal keys share a shard.  Integer keys are folded as they are; keys of any
+other type (strings, dates, structures) by their 64-bit hash.  Defined results: a null key goes to slot 0's shard; empty tables give empty results; equal rows get equal shards; ``place`` keeps all columns of its input and adds
 ``slot`` and ``shard`` (names that an input already has raise an error).
 """
 
@@ -15,6 +15,7 @@ import zlib
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
 SHARDS, SLOTS = 64, 10_007
 #: Key hash: (|key| mod P) * A + B mod P, in 64-bit integers.
@@ -47,6 +48,7 @@ def shard_names(n: int = SHARDS) -> list[str]:
 
 
 def slot_of(key: Column, slots: int = SLOTS) -> Column:
+    """Slot of an integer key."""
     folded = F.pmod(key.cast("long"), F.lit(P))
     return F.coalesce(F.pmod(F.pmod(folded * A + B, F.lit(P)), F.lit(slots)), F.lit(0)).cast("int")
 
@@ -58,7 +60,8 @@ def place(df: DataFrame, key: str, names: list[str], slots: int = SLOTS) -> Data
     text = ",".join(map(str, lookup_table(names, slots)))
     table = df.sparkSession.range(1).select(F.posexplode(F.split(F.lit(text), ",")).alias("__slot", "__owner"))
     table = table.select("__slot", F.col("__owner").cast("int").alias("shard"))
-    keyed = df.withColumn("slot", slot_of(F.col(key), slots))
+    number = F.col(key) if isinstance(df.schema[key].dataType, IntegralType) else F.when(F.col(key).isNotNull(), F.xxhash64(key))
+    keyed = df.withColumn("slot", slot_of(number, slots))
     return keyed.join(F.broadcast(table), F.col("slot") == F.col("__slot"), "left").drop("__slot")
 
 
