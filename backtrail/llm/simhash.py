@@ -114,7 +114,9 @@ def _stars(parts):
 
 def links(distinct: DataFrame) -> DataFrame:
     """Links ``(u, v)`` between distinct fingerprints ``fp`` that connect exactly what links at the threshold."""
-    placed = distinct.select("fp", F.explode(anchors(F.col("fp"))).alias("anchor"))
+    # Few bytes become 32 times as many: dealt over all tasks first, since their size alone would ask for few.
+    tasks = max(1, int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    placed = distinct.repartition(tasks, "fp").select("fp", F.explode(anchors(F.col("fp"))).alias("anchor"))
     groups = placed.groupBy("anchor").agg(F.collect_set("fp").alias("fps")).filter(F.size("fps") > 1).select("fps")
     return batches(groups, _stars, "u long, v long").distinct()
 
@@ -130,10 +132,3 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     text = F.lower(F.lpad(F.hex("fp"), 16, "0"))
     return rows.join(of, "fp").select(F.col("id").alias(id_col), text.alias("fingerprint"), "component_id")
 
-
-def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``df`` that stand for their component, all columns: the row of its smallest id, one of equal ids; rows without an id stay."""
-    classes = near_duplicates(df, id_col, text_col)
-    kept = classes.filter(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
-    found = df.join(kept, F.col(id_col) == F.col("__kept"), "left_semi").dropDuplicates([id_col])
-    return found.unionByName(df.filter(F.col(id_col).isNull()))
