@@ -20,7 +20,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def batches(df: DataFrame, fn, schema: str) -> DataFrame:
-    """``mapInArrow`` with bounded batches; ``fn`` travels by value, so executors need no copy of the package."""
+    """``mapInArrow`` with bounded batches; ``fn`` travels by value, so executors need no copy of the package.
+
+    The bounds are settings of the session, read when the plan runs: they stay set for it.
+    """
     conf = df.sparkSession.conf
     conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
@@ -56,6 +59,12 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+def remove(spark: SparkSession, folder: str) -> None:
+    """Deletes a folder, wherever it is stored."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def durable(df: DataFrame) -> DataFrame:
     """Cuts the lineage in the shared folder."""
     shared_folder(df.sparkSession)

@@ -31,6 +31,11 @@ def op4_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spotsigs.compare_edited(table(spark, sf_dir, "documents"))
 
 
+def spotsigs_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fourth operator's similarity join: every document with its class at likeness 0.8."""
+    return spotsigs.classes(table(spark, sf_dir, "documents"))
+
+
 def op5_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     field = pii.Field.train(pii.labelled_table(spark))
     found = pii.find(table(spark, sf_dir, "documents"), field)
@@ -65,7 +70,7 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op4_spotsigs, op5_personal_data, op6_byte_bpe, op7_simhash, op8_sharding, op9_main_text, op10_chat)}
+    return {f.__name__: f for f in (op1_quality_rules, op2_mixing, op3_token_counts, op4_spotsigs, op5_personal_data, op6_byte_bpe, op7_simhash, op8_sharding, op9_main_text, op10_chat, spotsigs_classes)}
 
 
 def oracle_sql() -> dict[str, str]:

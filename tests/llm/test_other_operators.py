@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 from collections import Counter
 
 import numpy as np
@@ -10,7 +11,7 @@ import public_tokenizers
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from backtrail.llm import chat, html_extract, mixing, pii, queries, sharding, simhash
+from backtrail.llm import chat, html_extract, mixing, pii, queries, sharding
 from backtrail.llm.html_training import MARK, Writer, labelled_pages, train
 from backtrail.llm.quality import QualityRules
 
@@ -114,6 +115,8 @@ def test_place(spark, docs, none, tmp_path):
     assert sharding.place(none, "doc_id", names).count() == 0
     with pytest.raises(ValueError):
         sharding.place(docs.withColumnRenamed("label", "shard"), "doc_id", names)
+    named = sharding.place(docs, "text", names).select("text", "slot", "shard").distinct().collect()
+    assert len(named) == len({r["text"] for r in named}) and all(r["slot"] == 0 for r in named if r["text"] is None)
     plan = sharding.place(docs, "doc_id", names)._jdf.queryExecution().toString()
     assert "Python" not in plan and "BroadcastHashJoin" in plan
     sharding.write_shards(docs, "doc_id", names, str(tmp_path / "out"))
@@ -163,10 +166,43 @@ def test_training_learns():
 def test_page_parts():
     page = "<html><head><title>T</title><style>p{}</style><script>var a='<p>no</p>';</script></head><body>a&amp;b <i>c</i>\n d<p>one<p>two<br>three<!-- <p>no</p> --><ul><li>x<li>y</ul><p>un<b>clo</b>sed &eacute;&#33;"
     assert [b.text for b in html_extract.blocks(page)] == ["T", "a&b c d", "one", "two three", "x", "y", "unclosed \u00e9!"]
+    shown = {"<article><svg><p>one two</p>": ["one two"], "<script>var a=1;<p>hello</p>": ["hello"], "<p>a<!-- open <b>x</b> rest": ["ax rest"], "<noscript>no</noscript>yes": ["yes"], "<object><p>kept": ["kept"], "<p title='>'>t</p>": ["t"], "<p a=\"x>y</p>z": ["y", "z"]}
+    for given, texts in shown.items():
+        assert [b.text for b in html_extract.blocks(given)] == texts
     for odd in ("<", "<p", "</p></p>", "<!-- open", "<script>open", "<p title='>'>t</p>", "< p>x", "a < b > c"):
         html_extract.blocks(odd)
 
 
+#: Written by hand, in layouts and words that the training writer does not draw; blocks of the article begin with a star.
+LAYOUTS = [
+    "<html><body><div id='top'><a href='/'>The Valley Post</a></div><ul class='menu'><li><a href='/w'>World</a><li><a href='/s'>Sport</a></ul><div id='main'><h1>*River rises again</h1><p>*The river rose by two metres on Monday night, officials said.</p><p>*Farmers moved their cattle to higher ground before dawn.</p></div><div class='sidebar'><h3>Most read</h3><ul><li><a href='/1'>Bridge closed</a><li><a href='/2'>School vote</a></ul></div><div id='footer'>Copyright 2019 The Valley Post. All rights reserved.</div></body></html>",
+    "<body><header><nav><a href='#'>Home</a> <a href='#'>About</a></nav></header><main><article><h2>*How to prune an apple tree</h2><p>*Wait until the leaves have fallen, then look at the shape of the tree.</p><ol><li>*Remove dead wood first.</li><li>*Cut back crossing branches.</li></ol><blockquote>*A good cut heals in one summer.</blockquote></article></main><section class='comments'><h2>3 comments</h2><div class='comment'><b>Ann</b><p>Worked well for me, thank you!</p></div></section><footer><p>Contact us | Imprint</p></footer></body>",
+    "<div class='cookie-banner'>We use cookies to improve your visit. <button>Accept</button></div><div class='wrapper'><div class='post'><h1>*Notes on bread</h1><p>*Flour, water, salt and time are all that a loaf needs.</p><div class='ad'>Buy our new mixer today and save 20 percent!</div><p>*Leave the dough overnight in a cool place.</p></div></div><form><label>Search</label><input></form>",
+    "<table><tr><td><a href='/a'>Archive</a></td><td><article><h1>*On small towns</h1><p>*Nobody locks a door there, and nobody needs to ask the time.</p><p>*That was the rule when I was young.</p></article></td></tr></table><div class='footer'>Printed on paper.</div>",
+]
+
+
+def test_hand_written_layouts():
+    """Held-out layouts: the labeller errs in few of their blocks."""
+    labeller, reader, wrong, total = html_extract.Labeller.load(), html_extract.Reader(), 0, 0
+    for page in LAYOUTS:
+        found = html_extract.blocks(page)
+        truth = [b.text.startswith("*") for b in found]
+        for b in found:
+            b.text = b.text.lstrip("*")
+        got = labeller.scores([reader.page(found)])[0] > 0
+        wrong, total = wrong + sum(a != b for a, b in zip(truth, got)), total + len(truth)
+    print(f"hand-written layouts: {wrong} of {total} blocks wrong")
+    assert wrong <= 0.1 * total
+
+
+@pytest.mark.parametrize("unit", ["<a ", "<div>x", "<svg>", "<script>", "<!--x>", "<a '\"> ", "</p><div>", "&amp", '<a ">'])
+def test_hostile_pages_take_linear_time(unit):
+    began = time.time()
+    html_extract.blocks(unit * (1_000_000 // len(unit)))
+    assert time.time() - began < 20
+
+
 def test_odd_pages(spark):
     rows = [(1, None, None), (2, "u", ""), (3, "u", "<p></p>"), (4, "u", "<p>" * 3000 + "deep"), (None, None, "<article><p>Some words of the article here.</p></article>"), (1, None, None)]
     found = html_extract.extract(spark.createDataFrame([(*r, "x", 1) for r in rows], "page_id long, url string, html string, text string, id int"))
@@ -221,11 +257,13 @@ def test_planted_conversation(spark):
 def test_queries_cover_whole_tables(spark):
     tables = {n: "documents" for n in range(1, 9)} | {9: "pages"}
     for name, query in queries.queries().items():
+        if not name.startswith("op"):
+            continue
         n = int(re.match(r"op(\d+)_", name)[1])
         got = query(spark, SMALL).count()
         if n in tables:
             assert got == spark.read.parquet(f"{SMALL}/{tables[n]}.parquet").count(), name
-    assert sorted(int(re.match(r"op(\d+)_", q)[1]) for q in queries.queries()) == list(range(1, 11))
+    assert sorted(int(re.match(r"op(\d+)_", q)[1]) for q in queries.queries() if q.startswith("op")) == list(range(1, 11))
 
 
 def test_pipeline_equals_its_stages(spark):
@@ -238,13 +276,9 @@ def test_pipeline_equals_its_stages(spark):
     ids = sorted(r["doc_id"] for r in kept.collect())
     assert ids == sorted(i for i, k in verdicts.items() if k) and kept.columns == docs.columns
     one = stages["near copies"](spark, kept, SMALL)
-    least = {}
-    for i, t in kept.select("doc_id", "text").collect():
-        f = simhash.fingerprint(t)
-        least[f] = min(i, least.get(f, i))
-    from tests.llm.test_text_operators import plain_components
+    from tests.llm.test_near_copies import plain_kept
 
-    assert sorted(r["doc_id"] for r in one.collect()) == sorted(set(plain_components(least).values()))
+    assert sorted(r["doc_id"] for r in one.collect()) == plain_kept([tuple(r) for r in kept.select("doc_id", "text").collect()])
     clean = stages["personal data"](spark, one, SMALL)
     before, after = (dict(x.select("doc_id", "text").collect()) for x in (one, clean))
     assert clean.columns == docs.columns and set(before) == set(after)
