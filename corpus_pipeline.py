@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from backtrail.llm import byte_bpe, mixing, near_copies, pii
-from backtrail.llm.common import shared_folder, table
+from backtrail.llm.common import remove, shared_folder, table
 from backtrail.llm.quality import QualityRules
 
 ORACLE_SQL = None
@@ -25,7 +25,7 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest id, of every group of texts linked by five-word shingles at Jaccard 0.8 or more."""
+    """One document, of the smallest id, of every group of texts linked by SimHash anchors and five-word shingles at Jaccard 0.8 or more."""
     return near_copies.keep_one(docs)
 
 
@@ -55,9 +55,14 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; what each leaves is written below the shared folder and read again."""
+    """All stages over ``documents``; what each leaves is written below the shared folder and read again.
+
+    A stage's folder goes when the next one is written; the last one's stays, since the result is read from it.
+    """
     docs, folder = table(spark, sf_dir, "documents"), f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            remove(spark, f"{folder}/{k - 1}")
     return docs
