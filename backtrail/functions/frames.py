@@ -86,3 +86,37 @@ def leq_violations(a: Demand, b: Demand) -> DataFrame:
     default = F.lit(1 if b.rest == SAME else 0)
     more = reduce(lambda x, y: x | y, [F.col(mask(c)) > F.coalesce(f"b_{c}", default) for c in a.columns])
     return a.rows.join(other, keys, "left").filter(more | (F.col("__b").isNull() & F.lit(b.rest == CLOSED))).select(*keys)
+
+
+def at_unit(d: Demand) -> DataFrame:
+    """Masks of the element that a singleton's demand has, at the empty label."""
+    if keys_of(d):
+        raise ValueError("the empty label has no columns")
+    return d.rows.select(*[mask(c) for c in d.columns])
+
+
+def proj(d: Demand, column: str) -> Demand:
+    """What is asked of one field of the elements."""
+    return Demand(d.table, d.rows.select(*keys_of(d), mask(column)), d.rest, [column])
+
+
+def dom(d: Demand) -> DataFrame:
+    """Labels that are listed."""
+    return d.rows.select(*keys_of(d))
+
+
+def join_env(a: dict[str, Demand], b: dict[str, Demand]) -> dict[str, Demand]:
+    """Demands of two environments, table by table; a table that one does not name is skipped there."""
+    return {t: join(a[t], b[t])[0] if t in a and t in b else a.get(t, b.get(t)) for t in dict.fromkeys([*a, *b])}
+
+
+def equiv_env(demands: dict[str, Demand], a: Catalog, b: Catalog) -> DataFrame:
+    """Where two catalogs differ as far as the demands go: ``(source_table, lbl, reason)``."""
+    parts = [equiv_violations(d, a, b).select(F.lit(t).alias("source_table"), "lbl", "reason") for t, d in demands.items()]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def materialize(d: Demand, cat: Catalog) -> DataFrame:
+    """The demand with the values that stand in the table: ``lbl`` and columns, null where skipped."""
+    keys = cat.labels(d.table)
+    return d.cells(cat).select(dotted([F.col(k) for k in keys]).alias("lbl"), *d.columns)

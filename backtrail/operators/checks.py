@@ -11,7 +11,7 @@ from pyspark.sql import types as T
 from backtrail.functions.frames import leq_violations
 from backtrail.operators.replay import replay
 from backtrail.operators.runs import Run, trace, trace_rows
-from backtrail.operators.slicing import SKIP, Demand, Target, fill, mask, slice_inputs, slice_query
+from backtrail.operators.slicing import SKIP, Demand, Target, fill, mask, slice_inputs, slice_query, sliced_run
 from backtrail.plans import compile as plan
 from backtrail.plans.expr import Const
 from backtrail.sources.catalog import Catalog, Edits
@@ -93,6 +93,14 @@ def monotone_violations(inner: Target, outer: Target) -> DataFrame:
     return reduce(DataFrame.unionByName, [leq_violations(small[t], large[t]).select(F.lit(t).alias("source_table"), F.lit(1).alias("cell")) for t in small])
 
 
+def resliced_violations(inner: Target, outer: Target) -> DataFrame:
+    """Cells that the inner slice has and the inner slice taken from the outer one has not, or the other way round."""
+    cut = sliced_run(outer)
+    whole, again = slice_inputs(inner.run, inner), slice_inputs(cut, Target(cut, inner.frames, inner.rest))
+    parts = [leq_violations(x[t], y[t]).select(F.lit(t).alias("source_table")) for x, y in ((whole, again), (again, whole)) for t in x]
+    return reduce(DataFrame.unionByName, parts)
+
+
 def consistency_violations(run: Run) -> DataFrame:
     """A trace replayed on its own inputs gives the run's value, and no failure."""
     again = replay(run, run.cat)

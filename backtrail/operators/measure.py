@@ -58,16 +58,26 @@ def growth(expr_of: Callable[[Catalog], Expr], catalogs: list[tuple[int, Catalog
     return rows
 
 
-def grid(expr: Expr, cat: Catalog, target_of: Callable[[Run], Target], folder: str | None = None) -> list[dict]:
-    """The experiment: every mode with simple (closed) and enriched (open) patterns; seconds of each step."""
+def grid(expr: Expr, cat: Catalog, target_of: Callable[[Run], Target], stored_of: Callable[[Run], Target] | None = None, folder: str | None = None, level: str = "full") -> list[dict]:
+    """The experiment: every mode with simple (closed) and enriched (open) patterns; seconds of each step.
+
+    Eager and lazy runs trace at the same level, so their steps do the same work.  ``stored_of`` gives the enriched target as rows, whose
+    slice reads the recorded trace; it is reported as a pattern of its own beside that of a few labels given on the driver.
+    """
     out = []
     base = seconds(lambda: consume(trace(expr, cat).value()))
+    kinds = {"simple": lambda run: target_of(run).closed(), "enriched": target_of} | ({"enriched, recorded": stored_of} if stored_of else {})
     for mode in ("eager", "lazy", "on_demand"):
-        for kind in ("simple", "enriched"):
+        for kind, made in kinds.items():
             runs: list[Run] = []
-            traced = seconds(lambda m=mode, r=runs: r.append(trace(expr, cat, m, "full" if m == "eager" else "taken", folder)))
+
+            def traced_run(mode=mode, runs=runs) -> None:
+                run = trace(expr, cat, mode, level, folder)
+                runs.append(run)
+
+            traced = seconds(traced_run)
             run = runs[0]
-            target = target_of(run) if kind == "enriched" else target_of(run).closed()
+            target = made(run)
             few = target.local is not None
             cut = seconds(lambda r=run, t=target, f=few: [*(read_all(d.rows, f) for d in slice_inputs(r, t).values()), read_all(sliced_trace(slice_trace(r, t)), f)])
             query = seconds(lambda r=run, t=target: read_all(marks_frame(r, t), True))
@@ -86,21 +96,27 @@ def stored_bytes(run: Run, folder: str) -> int:
     return path.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(path).getLength()
 
 
-def probe_precision(run: Run, target: Target, limit: int = 200) -> tuple[int, int]:
-    """Of the kept cells, how many change the target when each alone is altered.  One rerun per cell: for small inputs only."""
+def probe_precision(run: Run, target: Target, limit: int | None = None) -> dict[str, int]:
+    """Of the kept cells, how many change the target when each alone is altered.  One rerun per cell: for small inputs only.
+
+    ``limit`` bounds the elements probed per table; ``kept`` counts all kept cells, ``probed`` those that were altered.
+    """
     from backtrail.operators.checks import target_violations
 
-    hit = total = 0
+    hit = probed = kept = 0
     for name, d in slice_inputs(run, target).items():
         keys = run.cat.labels(name)
         kinds = {f.name: f.dataType for f in run.cat[name].schema}
-        for row in d.rows.orderBy(*keys).limit(limit).collect():
+        sums = d.rows.agg(*[F.sum((F.col(mask(c)) > 0).cast("int")).alias(c) for c in d.columns]).first()
+        kept += sum(v or 0 for v in sums)
+        ordered = d.rows.orderBy(*keys)
+        for row in (ordered if limit is None else ordered.limit(limit)).collect():
             for c in d.columns:
                 if row[mask(c)]:
                     here = F.lit(True)
                     for k in keys:
                         here = here & (F.col(k) == row[k])
                     changed = run.cat[name].withColumn(c, F.when(here, altered(c, kinds[c], keys, 3)).otherwise(F.col(c)))
-                    total += 1
+                    probed += 1
                     hit += target_violations(run, target, run.cat.replaced(name, changed)).limit(1).count()
-    return hit, total
+    return {"changing": hit, "probed": probed, "kept": kept}

@@ -4,14 +4,16 @@ A trace mirrors its query, so only two things are data: which iterations each co
 
 * ``on_demand`` keeps nothing: a result's label names the source elements behind it, and branches are found again;
 * ``lazy`` describes the trace frames as DataFrames, computed when a slice reads them;
-* ``eager`` writes them.
+* ``eager`` writes them: the frames, the result with its labels, and the labels of every table.  Slices and replays of such a run read
+  what is written and not the tables, which may have changed since.
 
-Levels of what a trace frame holds: ``taken`` (iterations that passed, with a count of the others) or ``full`` (all).
+Levels of what a trace frame holds: ``taken`` (iterations that passed) or ``full`` (all, with the branch each took, and the iterations
+of every comprehension).  At level ``full`` closed slices too are answered from the frames alone.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from math import prod
 
 from pyspark.sql import DataFrame
@@ -20,7 +22,7 @@ from pyspark.sql import functions as F
 from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, flatten, used
 from backtrail.plans.expr import Each, Expr, If, children, render, typecheck
-from backtrail.sources.catalog import Catalog, dotted
+from backtrail.sources.catalog import Catalog, dotted, given, kept
 
 
 def numbered(e: Expr) -> dict[int, int]:
@@ -80,6 +82,12 @@ def reach_count(block: Block, cat: Catalog, steps: int) -> int:
     return prod(plan.frame(Block(group), cat).count() for group in components(block, steps))
 
 
+def place(block: Block, k: int) -> tuple:
+    """What tells a step from the same one of another block: its site and the generators before it."""
+    step = block.steps[k]
+    return step.site, tuple(s.var for s in block.steps[:k] if isinstance(s, Gen))
+
+
 @dataclass
 class Run:
     """A query evaluated over a catalog, with its trace in one of the modes."""
@@ -89,10 +97,52 @@ class Run:
     blocks: list[Block]
     mode: str
     level: str
-    frames: dict[tuple[int, int], DataFrame] = field(default_factory=dict)
+    frames: dict[tuple[int, int], DataFrame] = field(default_factory=dict)  # of guards: labels so far, branch
+    iterations: dict[tuple[int, int], DataFrame] = field(default_factory=dict)  # of generators: labels so far and theirs
+    values: dict[int, DataFrame] = field(default_factory=dict)
+    labels: dict[str, DataFrame] = field(default_factory=dict)
 
     def value_of(self, i: int) -> DataFrame:
-        return plan.value(self.blocks[i], self.cat)
+        return self.values[i] if i in self.values else plan.value(self.blocks[i], self.cat)
+
+    def _found(self, of: dict, i: int, k: int) -> DataFrame | None:
+        here = place(self.blocks[i], k)
+        return next((df for (j, m), df in of.items() if place(self.blocks[j], m) == here), None)
+
+    def recorded(self, i: int, k: int) -> DataFrame | None:
+        """Label columns of the iterations that pass the first ``k`` steps of a block, if the trace has them."""
+        step = self.blocks[i].steps[k - 1]
+        if isinstance(step, Gen):
+            return self._found(self.iterations, i, k - 1)
+        frame = self._found(self.frames, i, k - 1)
+        if frame is None or (self.level != "full" and not step.taken):
+            return None
+        return frame.filter(F.col("branch") == F.lit(step.taken)).drop("branch")
+
+    def branches(self, i: int, k: int) -> DataFrame | None:
+        """All iterations that the guard at ``k`` met with the branch each took, if the trace has them."""
+        return self._found(self.frames, i, k) if self.level == "full" else None
+
+    def reached(self, i: int, steps: int, gen: Gen) -> DataFrame:
+        """Label columns of a generator's elements among iterations that pass the first ``steps`` steps."""
+        found = self.recorded(i, steps) if steps else None
+        if found is None:
+            return reached(self.blocks[i], self.cat, steps, gen)
+        return found.select(*plan.gen_labels(self.cat, gen)).distinct()
+
+    def reach_count(self, i: int, steps: int) -> int:
+        """Number of iterations that pass the first ``steps`` steps."""
+        found = self.recorded(i, steps) if steps else None
+        return reach_count(self.blocks[i], self.cat, steps) if found is None else found.count()
+
+    def result_labels(self, i: int) -> DataFrame:
+        """Label columns of a block's result elements."""
+        block = self.blocks[i]
+        return self.values[i].select(*plan.all_labels(block, self.cat)) if i in self.values else plan.frame(block, self.cat).select(*plan.all_labels(block, self.cat))
+
+    def labels_of(self, table: str) -> DataFrame:
+        """Label columns of a table as the run met it."""
+        return self.labels[table] if table in self.labels else self.cat[table].select(*self.cat.labels(table))
 
     def value(self) -> DataFrame:
         """The result: dotted label ``lbl`` and fields."""
@@ -138,30 +188,47 @@ def trace(e: Expr, cat: Catalog, mode: str = "on_demand", level: str = "taken",
     seen = set()
     for i, block in enumerate(run.blocks):
         for k, step in enumerate(block.steps):
-            if isinstance(step, Guard) and step.site not in seen:
-                seen.add(step.site)
-                if level == "full" and (n := reach_count(block, cat, k)) > limit:
-                    raise ValueError(f"a full trace has {n} iterations at one site; the limit is {limit}")
+            if (here := place(block, k)) in seen or (isinstance(step, Gen) and level != "full"):
+                continue
+            seen.add(here)
+            if level == "full" and (n := reach_count(block, cat, k + isinstance(step, Gen))) > limit:
+                raise ValueError(f"a full trace has {n} iterations at one site; the limit is {limit}")
+            if isinstance(step, Guard):
                 run.frames[i, k] = trace_frame(block, cat, k, level)
-    if mode == "eager":
-        for (i, k), df in run.frames.items():
-            if folder:
-                df.write.mode("overwrite").parquet(f"{folder}/block={i}/step={k}")
-                run.frames[i, k] = cat.spark.read.parquet(f"{folder}/block={i}/step={k}")
             else:
-                df = df.persist()
-                df.count()
-                run.frames[i, k] = df
+                run.iterations[i, k] = plan.frame(block, cat, k + 1).select(*[c for g in block.gens if block.steps.index(g) <= k for c in plan.gen_labels(cat, g)])
+    if mode == "eager":
+        write = lambda df, name: kept(df, f"{folder}/{name}" if folder else None)
+        run.frames = {(i, k): write(df, f"block={i}/step={k}") for (i, k), df in run.frames.items()}
+        run.iterations = {(i, k): write(df, f"iterations/block={i}/step={k}") for (i, k), df in run.iterations.items()}
+        run.values = {i: write(plan.value(block, cat), f"values/block={i}") for i, block in enumerate(run.blocks)}
+        run.labels = {t: write(cat[t].select(*cat.labels(t)), f"labels/{t}") for t in tables_of(run)}
     return run
 
 
+def tables_of(run: Run) -> list[str]:
+    """Tables that a query reads, those of its inner bags too."""
+    found: set[str] = set()
+
+    def visit(block: Block) -> None:
+        found.update(g.table for g in block.gens)
+        for e in [*(g.cond for g in block.guards), *([block.head] if block.head is not None else [])]:
+            for agg in aggregates(e):
+                for inner in agg.bag.blocks:
+                    visit(inner)
+
+    for block in run.blocks:
+        visit(block)
+    return sorted(found)
+
+
 def trace_rows(run: Run, level: str = "taken") -> DataFrame:
     """The dynamic trace as ``(site, lbl, branch)``."""
     out, seen, numbers = None, set(), run.numbers()
     for i, block in enumerate(run.blocks):
         for k, step in enumerate(block.steps):
-            if isinstance(step, Guard) and step.site not in seen:
-                seen.add(step.site)
+            if isinstance(step, Guard) and (here := place(block, k)) not in seen:
+                seen.add(here)
                 found = run.frames.get((i, k))
                 df = found if found is not None else trace_frame(block, run.cat, k, level)
                 labels = [F.col(c) for c in df.columns if c != "branch"]
@@ -172,6 +239,19 @@ def trace_rows(run: Run, level: str = "taken") -> DataFrame:
     return out
 
 
+def branch_counts(run: Run) -> DataFrame:
+    """``(site, branch, n)``: how many iterations of every conditional took each branch, from counts alone, without the product."""
+    rows, seen, numbers = [], set(), run.numbers()
+    for i, block in enumerate(run.blocks):
+        for k, step in enumerate(block.steps):
+            if isinstance(step, Guard) and (here := place(block, k)) not in seen:
+                seen.add(here)
+                passing = replace(block, steps=(*block.steps[:k], replace(step, taken=True)))
+                met, took = run.reach_count(i, k) if k else 1, plan.frame(passing, run.cat).count()
+                rows += [(numbers[step.site], True, took), (numbers[step.site], False, met - took)]
+    return given(run.cat.spark, [r for r in rows if r[2]], site="int", branch="boolean", n="long")
+
+
 def is_subtrace(small: DataFrame, large: DataFrame) -> DataFrame:
     """Rows of one trace that the other lacks or has with another branch; none if it is a part of it."""
     return small.join(large, ["site", "lbl", "branch"], "left_anti")
@@ -206,7 +286,7 @@ def typecheck_trace(run: Run) -> list[str]:
                 wrong.append(f"block {i}: {name} is {found[name]}, not a number")
             elif kind in ("string", "boolean") and found[name] != kind:
                 wrong.append(f"block {i}: {name} is {found[name]}, not {kind}")
-    for (i, k), df in run.frames.items():
+    for (i, k), df in {**run.frames, **run.iterations}.items():
         kinds = {f.name: f.dataType.simpleString() for f in df.schema}
         wrong += [f"trace {i}.{k}: {c} is {t}" for c, t in kinds.items() if t != ("boolean" if c == "branch" else "bigint")]
     return wrong

@@ -5,15 +5,16 @@ all other elements: ``SKIP`` (anything), ``CLOSED`` (there are no others) or ``S
 
 * An open target is answered from its labels alone: each generator's part of the label names the source elements, so the work is
   in the number of elements asked for, whatever the size of the tables.
-* A closed target rests on every iteration: the conditions of all elements are demanded.  Elements are found per generator by
-  semi-joins; products of generators are never formed (see ``runs.reached``).
+* A closed target rests on every iteration: the conditions of all elements are demanded.  A run with a full recorded trace reads them
+  from it; else elements are found per generator by semi-joins, and products are never formed (see ``runs.reached``).
+* Bags inside aggregates and emptiness tests are not recorded: their members are found again.
 
 Masks are small integers; 2 and 1 tell the inner and the outer part of a difference apart.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -21,8 +22,8 @@ from pyspark.sql import functions as F
 
 from backtrail.plans import compile as plan
 from backtrail.plans.blocks import Block, Gen, Guard, aggregates, cost, used
-from backtrail.plans.expr import Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Union, Whole, render
-from backtrail.operators.runs import Run, guard_uses, reach_count, reached
+from backtrail.plans.expr import Agg, Each, Empty, Expr, Field, Hole, If, IsEmpty, Let, Op, Record, Single, Table, Union, Var, Whole, children, rebuilt, render, uses
+from backtrail.operators.runs import Run, guard_uses
 from backtrail.sources.catalog import Catalog, dotted, given
 
 SKIP, CLOSED, SAME = "skip", "closed", "same"
@@ -47,6 +48,36 @@ def _parsed(block: Block, depths: dict[str, int], lbl: str) -> tuple | None:
     return tuple(x for g in block.gens for x in found[g.var]) if at == len(numbers) else None
 
 
+def _present(run: Run, i: int, labels: list[tuple]) -> set[tuple]:
+    """Those of a few label tuples that are in a block's result, seen from the source elements they name alone."""
+    block, cat = run.blocks[i], run.cat
+    if not labels:
+        return set()
+    names = plan.all_labels(block, cat)
+    if not names:
+        return set(labels) if run.value_of(i).limit(1).count() else set()
+    asked = given(cat.spark, labels, **{c: "long" for c in names})
+    if i in run.values:
+        df = run.result_labels(i)
+    else:
+        small, at = cat, 0
+        parts: dict[str, list[tuple]] = {}
+        for g in block.gens:
+            n = len(cat.labels(g.table))
+            parts.setdefault(g.table, []).extend(row[at : at + n] for row in labels)
+            at += n
+        for table, rows in parts.items():
+            own, keys = cat[table], cat.labels(table)
+            for j, k in enumerate(keys):
+                values = sorted({r[j] for r in rows})
+                own = own.filter(F.col(k).isin(values)) if len(values) <= 1000 else own.filter(F.col(k).between(values[0], values[-1]))
+            # Inner bags of aggregates still read whole tables.
+            small = small.replaced(f"{table} asked", own.join(F.broadcast(given(cat.spark, sorted(set(rows)), **{k: "long" for k in keys})), keys, "left_semi").select(*cat[table].columns))
+        steps = tuple(replace(s, table=f"{s.table} asked") if isinstance(s, Gen) else s for s in block.steps)
+        df = plan.frame(replace(block, steps=steps), small).select(*names)
+    return {tuple(r) for r in df.join(F.broadcast(asked), names, "left_semi").distinct().collect()}
+
+
 class _Local(dict):
     """Frames of given rows, made when something asks for them."""
 
@@ -72,19 +103,26 @@ class Target:
 
     @classmethod
     def at(cls, run: Run, cells: dict[str, list[str]], level: int = 1) -> Target:
-        """Elements seen in the result, by dotted label, each with its own fields.
+        """A few elements of the result by dotted label, each with its own fields; labels or fields that it lacks raise an error.
 
-        A label spells out the source elements it was made of, so an open slice of a few of them needs no look at the data: it is
-        worked out here, whatever the size of the tables.  Labels that are not in the result would be taken on trust; see ``cells``.
+        A label spells out the source elements it was made of: only these are looked up, by their labels, to see that the element is
+        there.  The slice of it then needs no look at the data.
         """
         if len(cells) > SMALL:
             raise ValueError(f"more than {SMALL} labels: use where()")
-        local = {}
+        local, strange = {}, set(cells)
         for i, block in enumerate(run.blocks):
             names = [k for k, _ in block.fields()]
             depths = {g.var: len(run.cat.labels(g.table)) for g in block.gens}
-            found = [(_parsed(block, depths, lbl), fs) for lbl, fs in cells.items()]
-            local[i] = [(*labels, *[level if k in fs else 0 for k in names], level) for labels, fs in found if labels is not None]
+            parsed = {lbl: labels for lbl in cells if (labels := _parsed(block, depths, lbl)) is not None}
+            there = _present(run, i, sorted(set(parsed.values())))
+            found = [(lbl, labels) for lbl, labels in parsed.items() if labels in there]
+            if unknown := sorted({k for lbl, _ in found for k in cells[lbl]} - set(names)):
+                raise ValueError(f"no fields {unknown} in the result")
+            strange -= {lbl for lbl, _ in found}
+            local[i] = [(*labels, *[level if k in cells[lbl] else 0 for k in names], level) for lbl, labels in found]
+        if strange:
+            raise ValueError(f"not in the result: {sorted(strange)[:5]}")
         return cls(run, _Local(run, local), SKIP, local)
 
     @classmethod
@@ -123,7 +161,7 @@ class Target:
         for i, block in enumerate(self.run.blocks):
             labels = plan.all_labels(block, self.run.cat)
             names = [mask(k) for k, _ in block.fields()]
-            everything = plan.frame(block, self.run.cat).select(*labels)
+            everything = self.run.result_labels(i)
             hit = self.frames[i].select(*labels, *names)
             joined = everything.join(hit, labels, "left")
             frames[i] = joined.select(*labels, *[F.coalesce(m, F.lit(0)).alias(m) for m in names], F.lit(1).alias(ROW))
@@ -134,7 +172,7 @@ class Target:
         frames = {}
         for i, block in enumerate(self.run.blocks):
             labels = plan.all_labels(block, self.run.cat)
-            frames[i] = plan.frame(block, self.run.cat).select(*labels, *[F.lit(1).alias(mask(k)) for k, _ in block.fields()], F.lit(1).alias(ROW))
+            frames[i] = self.run.result_labels(i).select(*labels, *[F.lit(1).alias(mask(k)) for k, _ in block.fields()], F.lit(1).alias(ROW))
         return Target(self.run, frames, SAME)
 
 
@@ -282,18 +320,25 @@ def slice_inputs(run: Run, target: Target, tight: bool = False) -> dict[str, Dem
             at = block.steps.index(gen)
             rest = SKIP if open_ else CLOSED
             into.add(gen, rows, _body_masks(block, gen, open_), rest)
-            if not open_:
-                into.add(gen, reached(block, run.cat, at + 1, gen), {}, rest)
+            if not open_:  # elements and the columns of conditions, those of one step in one scan
+                asked: dict[int, set[str]] = {at + 1: set()}
                 for k, step in enumerate(block.steps):
                     if isinstance(step, Guard) and (columns := {c for g, c in guard_uses(step) if g == gen.var}):
-                        into.add(gen, reached(block, run.cat, k, gen), {c: F.lit(1) for c in columns}, rest)
+                        asked.setdefault(k, set()).update(columns)
+                for k, columns in asked.items():
+                    into.add(gen, run.reached(i, k, gen), {c: F.lit(1) for c in columns}, rest)
         for name, e in block.fields():
             for x in aggregates(e):
                 _inner_demands(into, run, block, rows, x, F.col(mask(name)), tight, False)
-        for guard in block.guards:
-            for x in aggregates(guard.cond):
-                empty = (isinstance(guard.cond, IsEmpty)) == guard.taken
-                _inner_demands(into, run, block, rows, x, F.col(ROW), tight, not empty)
+        for k, guard in enumerate(block.steps):
+            for x in aggregates(guard.cond) if isinstance(guard, Guard) else ():
+                inverse = isinstance(guard.cond, Op) and guard.cond.name == "not" and isinstance(guard.cond.args[0], IsEmpty)
+                witness = inverse if guard.taken else isinstance(guard.cond, IsEmpty)
+                if open_:
+                    _inner_demands(into, run, block, rows, x, F.col(ROW), tight, witness)
+                else:  # all iterations that meet the condition rest on it, whatever it says
+                    before = Block(block.steps[:k])
+                    _inner_demands(into, run, before, plan.frame(before, run.cat), x, F.lit(1), tight, False)
     return into.joined()
 
 
@@ -350,11 +395,12 @@ def sliced_trace(s: Slice) -> DataFrame:
             if not isinstance(step, Guard):
                 continue
             labels = [c for g in block.gens if block.steps.index(g) < k for c in plan.gen_labels(s.run.cat, g)]
-            if s.target.rest != SKIP and s.run.level == "full" and (i, k) in s.run.frames:
-                stored = s.run.frames[i, k]
+            stored = s.run.branches(i, k)
+            if s.target.rest == SKIP:
+                df = s.target.frames[i].select(*labels).distinct()
+                df = df.withColumn("branch", F.lit(step.taken)) if stored is None else stored.join(df, labels, "left_semi")
+            elif stored is not None:
                 df = stored.select(*labels, "branch")
-            elif s.target.rest == SKIP:
-                df = s.target.frames[i].select(*labels).distinct().withColumn("branch", F.lit(step.taken))
             else:
                 passed = plan.frame(Block((*block.steps[:k], step)), s.run.cat).select(*labels).distinct().withColumn("__p", F.lit(True))
                 before = plan.frame(block, s.run.cat, k).select(*labels).distinct()
@@ -383,13 +429,13 @@ def slice_nodes(s: Slice) -> int:
             shared.add(key)
             before_gens = [g for g in block.gens if block.steps.index(g) < k]
             labels = [c for g in before_gens for c in plan.gen_labels(run.cat, g)]
-            before = (rows.select(*labels).distinct().count() if labels else 1) if open_ else (reach_count(block, run.cat, k) if k else 1)
+            before = (rows.select(*labels).distinct().count() if labels else 1) if open_ else (run.reach_count(i, k) if k else 1)
             if isinstance(step, Gen):
                 total += 2 * before
             else:
                 total += before * (1 + cost(step.cond))
                 if not open_ and step.taken:
-                    total += before - reach_count(block, run.cat, k + 1)
+                    total += before - run.reach_count(i, k + 1)
         total += sums["n"] + (0 if block.plain else sums["__any"] or 0)  # singletons, records with a field
         if not isinstance(block.head, Whole):
             total += sum((sums[k] or 0) * cost(e) for k, e in block.fields())
@@ -407,6 +453,17 @@ def query_marks(run: Run, target: Target) -> dict[int, tuple[int, int, int]]:
         a = marks.get(numbers[site], (0, 0, 0))
         marks[numbers[site]] = tuple(map(max, a, (level, then, other)))
 
+    def inside(steps: tuple, rows: DataFrame | None, e: Expr, level: int) -> None:
+        """Marks of the bags that an expression aggregates, which stay the same: the branches that any of their iterations takes."""
+        for agg in aggregates(e):
+            for inner in agg.bag.blocks:
+                for site, _ in inner.path:
+                    note(site, level)
+                for m, step in enumerate(inner.steps):
+                    if isinstance(step, Guard):
+                        here = [_any(run, (*steps, *inner.steps[:m], replace(step, taken=t)), rows) for t in (True, False)]
+                        note(step.site, level, *(level * int(x) for x in here))
+
     for i, block in enumerate(run.blocks):
         if target.local is not None:
             best = [max(column) for column in zip(*target.local[i])] or [None] * (len(block.fields()) + 1)
@@ -414,10 +471,11 @@ def query_marks(run: Run, target: Target) -> dict[int, tuple[int, int, int]]:
         else:
             got = target.frames[i].agg(F.max(ROW).alias("row"), *[F.max(mask(k)).alias(k) for k, _ in block.fields()]).first()
         level = got["row"] or 0
+        rows = target.frames[i].filter(F.col(ROW) > 0).select(*plan.all_labels(block, run.cat)) if target.rest == SKIP and plan.all_labels(block, run.cat) else None
         if target.rest != SKIP:
             for k, step in enumerate(block.steps):
                 if isinstance(step, Guard):
-                    before, after = reach_count(block, run.cat, k), reach_count(block, run.cat, k + 1)
+                    before, after = run.reach_count(i, k) if k else 1, run.reach_count(i, k + 1)
                     used_, other = int(after > 0), int(before > after)
                     note(step.site, int(before > 0), used_ if step.taken else other, other if step.taken else used_)
                 else:
@@ -427,12 +485,25 @@ def query_marks(run: Run, target: Target) -> dict[int, tuple[int, int, int]]:
             continue
         for site, mark in block.path:
             note(site, level, level if mark == "then" and got["row"] else 0, level if mark == "else" and got["row"] else 0)
+        for k, step in enumerate(block.steps):
+            if isinstance(step, Guard):
+                inside(block.steps[:k], rows, step.cond, level)
         for name, e in block.fields():
             if got[name]:
                 note(_field_site(run.expr, block, name), got[name])
+                inside(block.steps, rows, e, got[name])
     return marks
 
 
+def _any(run: Run, steps: tuple, rows: DataFrame | None) -> bool:
+    """Whether an iteration passes the steps, among those of the given outer ones."""
+    df = plan.frame(Block(steps), run.cat)
+    if rows is not None:
+        labels = [c for c in rows.columns if c in df.columns]
+        df = df.join(rows.select(*labels), labels, "left_semi") if labels else df
+    return df.limit(1).count() > 0
+
+
 def _field_site(e: Expr, block: Block, name: str) -> int:
     single = next(s for s, m in reversed(block.path) if m == "single")
 
@@ -447,34 +518,56 @@ def _field_site(e: Expr, block: Block, name: str) -> int:
 
 
 def slice_query(run: Run, target: Target) -> Expr:
-    """The query with holes where the target needs nothing."""
+    """The query with holes where the target needs nothing.
+
+    Of a bag that is named or nested as a source, the fields stay that what is kept of its readers reads.  A bag that is aggregated
+    stays the same, but for branches that none of its iterations takes.
+    """
     marks, numbers = query_marks(run, target), run.numbers()
     mark = lambda e: marks.get(numbers[e.site], (0, 0, 0))
 
-    def keep(e: Expr) -> Expr:
+    def scalar(e: Expr) -> Expr:
+        if isinstance(e, (Agg, IsEmpty)):
+            return rebuilt(e, [keep(e.bag, {"*"})])
+        parts = children(e)
+        found = [scalar(c) for c in parts]
+        return e if all(a is b for a, b in zip(parts, found)) else rebuilt(e, found)
+
+    def keep(e: Expr, wanted: set[str] | None = None) -> Expr:
+        """``wanted``: fields of the bag's elements that are read, all with ``*``; None for the result, where the target says."""
+        match e:
+            case Empty() | Table() | Var():
+                return e
+            case Let(var=v, bound=b, body=c):
+                body = keep(c, wanted)
+                read = uses(body, v)
+                if not mark(e)[0]:
+                    return Hole()
+                bound = Hole() if not read else keep(b, read) if isinstance(b, (Each, Union, If, Single, Empty, Let)) else scalar(b)
+                return rebuilt(e, [bound, body])
+        if not mark(e)[0]:
+            return Hole()
         match e:
             case If(cond=c, then=t, other=o):
                 _, a, b = mark(e)
-                return If(c, keep(t) if a else Hole(), keep(o) if b else Hole()) if mark(e)[0] else Hole()
-            case Single(item=Record(fields=fields)):
-                return Single(Record(tuple((k, v if mark(v)[0] else Hole()) for k, v in fields))) if mark(e)[0] else Hole()
+                return rebuilt(e, [scalar(c), keep(t, wanted) if a else Hole(), keep(o, wanted) if b else Hole()])
+            case Single(item=Record(fields=fields) as item):
+                needed = lambda k, v: mark(v)[0] if wanted is None else "*" in wanted or k in wanted
+                return rebuilt(e, [rebuilt(item, [scalar(v) if needed(k, v) else Hole() for k, v in fields])])
+            case Single(item=x):
+                return rebuilt(e, [scalar(x)])
             case Union(left=a, right=b):
-                return Union(keep(a), keep(b)) if mark(e)[0] else Hole()
+                return rebuilt(e, [keep(a, wanted), keep(b, wanted)])
             case Each(var=v, source=s, body=b):
-                return Each(v, keep(s) if isinstance(s, (Each, Union, If, Single)) else s, keep(b)) if mark(e)[0] else Hole()
-            case Let(var=v, bound=b, body=c):
-                return Let(v, b, keep(c)) if mark(e)[0] else Hole()
-            case Empty():
-                return e
-        return e if mark(e)[0] else Hole()
+                body = keep(b, wanted)
+                return rebuilt(e, [keep(s, uses(body, v)), body])
+        return scalar(e)
 
     return keep(run.expr)
 
 
 def leq_expr(a: Expr, b: Expr) -> bool:
     """Whether one partial query has no more than the other; a hole lies below everything."""
-    from backtrail.plans.expr import children
-
     if isinstance(a, Hole):
         return True
     x, y = children(a), children(b)
@@ -487,44 +580,21 @@ def join_expr(a: Expr, b: Expr) -> Expr:
         return b
     if isinstance(b, Hole):
         return a
-    match a, b:
-        case If(), If():
-            return If(join_expr(a.cond, b.cond), join_expr(a.then, b.then), join_expr(a.other, b.other))
-        case Single(), Single():
-            return Single(join_expr(a.item, b.item))
-        case Record(), Record():
-            return Record(tuple((k, join_expr(v, w)) for (k, v), (_, w) in zip(a.fields, b.fields)))
-        case Union(), Union():
-            return Union(join_expr(a.left, b.left), join_expr(a.right, b.right))
-        case Each(), Each():
-            return Each(a.var, join_expr(a.source, b.source), join_expr(a.body, b.body))
-        case Let(), Let():
-            return Let(a.var, join_expr(a.bound, b.bound), join_expr(a.body, b.body))
-        case Op(), Op():
-            return Op(a.name, tuple(map(join_expr, a.args, b.args)), a.fn, a.kind)
-        case Field(), Field():
-            return Field(join_expr(a.of, b.of), a.name)
-    return a
-
-
-def fill(e: Expr, chooser) -> Expr:
+    return rebuilt(a, [join_expr(x, y) for x, y in zip(children(a), children(b))])
+
+
+def fill(e: Expr, chooser, bag: bool = True) -> Expr:
     """A partial query with every hole filled: scalars by ``chooser()``, bags by the empty bag."""
     match e:
         case Hole():
-            return chooser()
+            return Empty() if bag else chooser()
         case If(cond=c, then=t, other=o):
-            return If(fill(c, chooser), fill(t, Empty) if isinstance(t, Hole) else fill(t, chooser), fill(o, Empty) if isinstance(o, Hole) else fill(o, chooser))
-        case Single(item=x):
-            return Single(fill(x, chooser))
-        case Record(fields=fields):
-            return Record(tuple((k, fill(v, chooser)) for k, v in fields))
-        case Union(left=a, right=b):
-            return Union(fill(a, Empty) if isinstance(a, Hole) else fill(a, chooser), fill(b, Empty) if isinstance(b, Hole) else fill(b, chooser))
-        case Each(var=v, source=s, body=b):
-            return Each(v, s, fill(b, Empty) if isinstance(b, Hole) else fill(b, chooser))
-        case Let(var=v, bound=b, body=c):
-            return Let(v, b, fill(c, chooser))
-    return e
+            return rebuilt(e, [fill(c, chooser, False), fill(t, chooser, bag), fill(o, chooser, bag)])
+        case Let(bound=b, body=c):
+            return rebuilt(e, [fill(b, chooser, not isinstance(b, (Hole, Op, Field, Record))), fill(c, chooser, bag)])
+        case Union() | Each() | Agg() | IsEmpty():
+            return rebuilt(e, [fill(c, chooser, True) for c in children(e)])
+    return rebuilt(e, [fill(c, chooser, False) for c in children(e)])
 
 
 def marks_frame(run: Run, target: Target) -> DataFrame:
@@ -537,12 +607,24 @@ def marks_frame(run: Run, target: Target) -> DataFrame:
 # --- differences -------------------------------------------------------------------------------------------------------
 
 
+def sliced_run(outer: Target) -> Run:
+    """The run over what the outer slice keeps of the inputs: other cells are null, and of an open slice other elements gone."""
+    run, cat = outer.run, outer.run.cat
+    for name, d in slice_inputs(run, outer).items():
+        cat = cat.replaced(name, d.cells(run.cat).select(*run.cat[name].columns))
+    return Run(run.expr, cat, run.blocks, "on_demand", "taken")
+
+
 def diff_inputs(inner: Target, outer: Target, one_pass: bool = True) -> dict[str, DataFrame]:
-    """Per table the cells ``(lbl, column, level)``: 2 if the inner slice has them, 1 if only the outer one does."""
+    """Per table the cells ``(lbl, column, level)``: 2 if the inner slice has them, 1 if only the outer one does.
+
+    In one pass, both slices at once by levels; else the inner slice is taken from the outer one.
+    """
     if one_pass:
         parts = slice_inputs(outer.run, difference(inner, outer))
         return {t: melted(d) for t, d in parts.items()}
-    large, small = slice_inputs(outer.run, outer), slice_inputs(outer.run, inner)
+    cut = sliced_run(outer)
+    large, small = slice_inputs(outer.run, outer), slice_inputs(cut, Target(cut, inner.frames, inner.rest))
     out = {}
     for t, d in large.items():
         own = melted(d).select("lbl", "column", F.lit(1).alias("a"))
@@ -590,7 +672,8 @@ def render_diff(inner: Target, outer: Target) -> str:
 
 
 def diff_trace(inner: Target, outer: Target) -> DataFrame:
-    """Kept iterations of the outer slice with level 2 where the inner slice keeps them too."""
+    """Kept iterations of the outer slice, with level 2 where the inner slice, taken from the outer one, keeps them too."""
+    cut = sliced_run(outer)
     a = sliced_trace(slice_trace(outer.run, outer))
-    b = sliced_trace(slice_trace(outer.run, inner)).withColumn("__i", F.lit(2))
+    b = sliced_trace(slice_trace(cut, Target(cut, inner.frames, inner.rest))).withColumn("__i", F.lit(2))
     return a.join(b, ["site", "lbl", "branch"], "left").select("site", "lbl", "branch", F.coalesce("__i", F.lit(1)).alias("level"))

@@ -95,55 +95,89 @@ def test_of(guard: Guard, lifted: dict | None = None) -> Column:
 
 
 def _emptiness(df: DataFrame, cat: Catalog, test: IsEmpty, empty: bool) -> DataFrame:
-    """Rows of ``df`` for which the inner bag is empty, or is not."""
-    for block in test.bag.blocks if empty else test.bag.blocks[:1]:
+    """Rows of ``df`` for which the inner bag is empty, or, of one block, is not."""
+    for block in test.bag.blocks:
         inner, outside = inner_parts(block)
         cond = reduce(lambda a, b: a & b, [test_of(g) for g in outside], F.lit(True))
         df = df.join(frame(inner, cat), cond, "left_anti" if empty else "left_semi")
-    if not empty and len(test.bag.blocks) != 1:
-        raise NotImplementedError("a non-emptiness test takes one block")
     return df
 
 
-def _with_aggregate(df: DataFrame, cat: Catalog, agg: Agg, n: int) -> tuple[DataFrame, Column]:
-    """``df`` with the aggregate of its inner bag in a column."""
-    name = f"__agg{n}"
-    parts = []
+def _label_names(df: DataFrame) -> list[str]:
+    """Label columns of all generators that a frame has met: they tell its rows apart."""
+    return [c for c in df.columns if c.split("__", 1)[-1].startswith("_l") and c.split("__", 1)[-1][2:].isdigit()]
+
+
+def _grouped(agg: Expr, cat: Catalog) -> tuple[DataFrame, list[str], list[Expr]] | None:
+    """Values of an inner bag of one block that correlates by equalities alone, keyed by what it correlates on."""
+    if len(agg.bag.blocks) != 1:
+        return None
+    block = agg.bag.blocks[0]
+    inner, outside = inner_parts(block)
+    sides = [_equal_sides(g, {x.var for x in inner.gens}) for g in outside]
+    if not all(sides):
+        return None
+    keys = [f"__k{i}" for i in range(len(sides))]
+    return frame(inner, cat).select(*[column(x).alias(k) for k, (x, _) in zip(keys, sides)], _value(block).alias("__v")), keys, [y for _, y in sides]
+
+
+def _value(block: Block) -> Column:
+    return column(block.fields()[0][1])
+
+
+def _with_aggregate(df: DataFrame, cat: Catalog, agg: Expr, n: int) -> tuple[DataFrame, Column]:
+    """``df`` with the aggregate of its inner bag in a column; an emptiness test counts.
+
+    Where the bag correlates by equalities, it is grouped by what it correlates on and joined.  Any other correlation, and bags of
+    several blocks, join members to the labels of the rows they belong to and group by these.
+    """
+    name, kind = f"__agg{n}", "count" if isinstance(agg, IsEmpty) else agg.kind
+    if not agg.bag.blocks:
+        return df.withColumn(name, F.lit(0) if kind in ("sum", "count") else F.lit(None)), _finished(agg, F.col(name))
+    if (found := _grouped(agg, cat)) is not None:
+        rows, keys, outer = found
+        grouped = rows.groupBy(*keys).agg(_AGGS[kind](F.col("__v")).alias(name))
+        cond = reduce(lambda a, b: a & b, [column(y) == grouped[k] for k, y in zip(keys, outer)], F.lit(True))
+        return df.join(grouped, cond, "left").drop(*keys), _finished(agg, F.col(name))
+    labels, rows = _label_names(df), None
+    reads = {column_name(*x) for block in agg.bag.blocks for g in inner_parts(block)[1] for x in used(g.cond)} & set(df.columns)
     for block in agg.bag.blocks:
         inner, outside = inner_parts(block)
-        sides = [_equal_sides(g, {x.var for x in inner.gens}) for g in outside]
-        if not all(sides):
-            raise NotImplementedError("aggregates correlate by equalities")
-        value = column(block.fields()[0][1])
-        keys = [f"__k{i}" for i in range(len(sides))]
-        parts.append((frame(inner, cat).select(*[column(x).alias(k) for k, (x, _) in zip(keys, sides)], value.alias("__v")), keys, [y for _, y in sides]))
-    (rows, keys, outer), *rest = parts
-    for other, _, _ in rest:
-        rows = rows.unionByName(other)
-    grouped = rows.groupBy(*keys).agg(_AGGS[agg.kind](F.col("__v")).alias(name))
-    cond = reduce(lambda a, b: a & b, [column(y) == grouped[k] for k, y in zip(keys, outer)], F.lit(True))
-    df = df.join(grouped, cond, "left").drop(*keys)
-    return df, F.coalesce(F.col(name), F.lit(0)) if agg.kind in ("sum", "count") else F.col(name)
+        cond = reduce(lambda a, b: a & b, [test_of(g) for g in outside], F.lit(True))
+        members = df.select(*dict.fromkeys([*labels, *sorted(reads)])).join(frame(inner, cat), cond).select(*labels, _value(block).alias("__v"))
+        rows = members if rows is None else rows.unionByName(members)
+    kept = [f"__of{i}" for i in range(len(labels))]
+    grouped = rows.groupBy(*[F.col(c).alias(k) for c, k in zip(labels, kept)]).agg(_AGGS[kind](F.col("__v")).alias(name))
+    cond = reduce(lambda a, b: a & b, [F.col(c) == F.col(k) for c, k in zip(labels, kept)], F.lit(True))
+    return df.join(grouped, cond, "left").drop(*kept), _finished(agg, F.col(name))
+
+
+def _finished(agg: Expr, found: Column) -> Column:
+    if isinstance(agg, IsEmpty):
+        return F.coalesce(found, F.lit(0)) == 0
+    return F.coalesce(found, F.lit(0)) if agg.kind in ("sum", "count") else found
 
 
 def with_aggregates(df: DataFrame, cat: Catalog, e: Expr) -> tuple[DataFrame, dict]:
     lifted = {}
     for x in aggregates(e):
-        if isinstance(x, Agg):
-            df, lifted[id(x)] = _with_aggregate(df, cat, x, x.site)
-        else:
-            raise NotImplementedError("an emptiness test stands alone in a condition")
+        df, lifted[id(x)] = _with_aggregate(df, cat, x, x.site)
     return df, lifted
 
 
 def guarded(df: DataFrame, cat: Catalog, guard: Guard) -> DataFrame:
-    if isinstance(guard.cond, IsEmpty):
-        return _emptiness(df, cat, guard.cond, guard.taken)
-    if isinstance(guard.cond, Op) and guard.cond.name == "not" and isinstance(guard.cond.args[0], IsEmpty):
-        return _emptiness(df, cat, guard.cond.args[0], not guard.taken)
-    before = df.columns
-    df, lifted = with_aggregates(df, cat, guard.cond)
-    return df.filter(test_of(guard, lifted)).select(*before)
+    """Rows that take the guard's branch; operands of a conjunction that test no bag go first."""
+    for part in sorted(_conjuncts(guard), key=lambda g: bool(aggregates(g.cond))):
+        test, taken = part.cond, part.taken
+        if isinstance(test, Op) and test.name == "not" and isinstance(test.args[0], IsEmpty):
+            test, taken = test.args[0], not taken
+        if isinstance(test, IsEmpty) and (taken or len(test.bag.blocks) == 1):
+            df = _emptiness(df, cat, test, taken)
+            continue
+        before = df.columns
+        df, lifted = with_aggregates(df, cat, part.cond)
+        df = df.filter(test_of(part, lifted)).select(*before)
+    return df
 
 
 def frame(block: Block, cat: Catalog, steps: int | None = None, start: DataFrame | None = None) -> DataFrame:
@@ -175,8 +209,5 @@ def value(block: Block, cat: Catalog) -> DataFrame:
 def scalar(e: Expr, cat: Catalog) -> DataFrame:
     """A scalar query as one row ``value``."""
     unit = cat.spark.range(1).select(F.lit(1).alias("__unit"))
-    if isinstance(e, IsEmpty):
-        none = _emptiness(unit, cat, e, True).agg((F.count("*") > 0).alias("value"))
-        return none
     df, lifted = with_aggregates(unit, cat, e)
     return df.select(column(e, lifted).alias("value"))

@@ -21,6 +21,9 @@ KEYS = {
 TIES = {"lineitem": ["l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]}
 
 
+#: Edited labels up to so many are broadcast to the table they change.
+EDITS = 100_000
+
 #: Types of rows given on the driver.
 _KINDS = {"long": pa.int64(), "int": pa.int32(), "tinyint": pa.int8(), "string": pa.string(), "boolean": pa.bool_()}
 
@@ -31,6 +34,21 @@ def given(spark: SparkSession, rows: list[tuple], **columns: str) -> DataFrame:
     return spark.createDataFrame(pa.table(arrays, names=list(columns)))
 
 
+def kept(df: DataFrame, path: str | None = None) -> DataFrame:
+    """What ``df`` holds now: written to ``path``, else to the session's checkpoint folder; persisted where neither is given."""
+    if path:
+        df.write.mode("overwrite").parquet(path)
+        return df.sparkSession.read.parquet(path)
+    context = df.sparkSession.sparkContext
+    if context.getCheckpointDir() is None and (folder := df.sparkSession.conf.get("spark.checkpoint.dir", None)):
+        context.setCheckpointDir(folder)
+    if context.getCheckpointDir() is not None:
+        return df.checkpoint()
+    df = df.persist()
+    df.count()
+    return df
+
+
 def label_columns(df: DataFrame) -> list[str]:
     return sorted((c for c in df.columns if c.startswith("_l") and c[2:].isdigit()), key=lambda c: int(c[2:]))
 
@@ -205,17 +223,20 @@ class Catalog:
         name, df = edits.table, self.tables[edits.table]
         keys, schema = self.labels(name), self.tables[name].schema
         label = ", ".join(f"{k} long" for k in keys)
+        few = lambda df: F.broadcast(df) if len(edits.deletes) + len(edits.updates) <= EDITS else df
         if edits.deletes:
-            df = df.join(F.broadcast(self.spark.createDataFrame(edits.deletes, label)), keys, "left_anti")
+            df = df.join(few(self.spark.createDataFrame(edits.deletes, label)), keys, "left_anti")
         for column in dict.fromkeys(c for _, c, _ in edits.updates):
             kind = schema[column].dataType.simpleString()
-            new = self.spark.createDataFrame([(*at, str(v) if v is not None else None) for at, c, v in edits.updates if c == column], f"{label}, __new string").withColumn("__hit", F.lit(True))
-            found = df.join(F.broadcast(new), keys, "left")
+            last = {at: str(v) if v is not None else None for at, c, v in edits.updates if c == column}
+            new = self.spark.createDataFrame([(*at, v) for at, v in last.items()], f"{label}, __new string").withColumn("__hit", F.lit(True))
+            found = df.join(few(new), keys, "left")
             df = found.withColumn(column, F.when(F.col("__hit"), F.col("__new").cast(kind)).otherwise(F.col(column))).drop("__new", "__hit")
-        for at, values in edits.inserts:
-            cells = dict(zip(keys, at)) | values
-            row = self.spark.range(1).select(*[F.lit(cells.get(f.name)).cast(f.dataType).alias(f.name) for f in schema])
-            df = df.unionByName(row)
+        if edits.inserts:
+            rows = [dict(zip(keys, at)) | values for at, values in edits.inserts]
+            texts = [tuple(None if r.get(f.name) is None else str(r[f.name]) for f in schema) for r in rows]
+            added = self.spark.createDataFrame(texts, ", ".join(f"`{f.name}` string" for f in schema))
+            df = df.unionByName(added.select(*[F.col(f"`{f.name}`").cast(f.dataType).alias(f.name) for f in schema]))
         for column, value in edits.added.items():
             df = df.withColumn(column, F.lit(value))
         return self.replaced(name, df.drop(*edits.dropped))

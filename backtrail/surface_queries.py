@@ -58,15 +58,7 @@ def _(spark, d):
     return joins.range_join(table(spark, d, "part").select("p_partkey", "p_size"), bands, "p_size", "lo", "hi", 10).select("p_partkey", "lo")
 
 
-@registered("surface_interval_join", "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_size < b.p_size + 3 AND b.p_size < a.p_size + 3 WHERE a.p_partkey < 400 AND b.p_partkey < 400")
-def _(spark, d):
-    part = table(spark, d, "part").filter("p_partkey < 400")
-    left = part.select(F.col("p_partkey").alias("a"), "p_brand", F.col("p_size").alias("s"), (F.col("p_size") + 3).alias("e"))
-    right = part.select(F.col("p_partkey").alias("b"), "p_brand", F.col("p_size").alias("s2"), (F.col("p_size") + 3).alias("e2"))
-    return joins.interval_join(left, right, ["p_brand"], "s", "e", "s2", "e2", 3).select("a", "b")
-
-
-@registered("surface_interval_join_all", "SELECT a.p_partkey AS a, count(*) AS n, CAST(sum(b.p_partkey) AS BIGINT) AS keys FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_size < b.p_size + 3 AND b.p_size < a.p_size + 3 GROUP BY 1")
+@registered("surface_interval_join", "SELECT a.p_partkey AS a, count(*) AS n, CAST(sum(b.p_partkey) AS BIGINT) AS keys FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_size < b.p_size + 3 AND b.p_size < a.p_size + 3 GROUP BY 1")
 def _(spark, d):
     """The interval join over all parts; of each part the number of its partners and the sum of their keys."""
     part = table(spark, d, "part")
@@ -115,14 +107,7 @@ def _(spark, d):
     return joins.outer_join(left, right, ["k"], ["o_orderkey"])
 
 
-@registered("surface_full_join", "SELECT c_nationkey, s_nationkey FROM (SELECT DISTINCT c_nationkey FROM customer WHERE c_custkey < 10) a FULL JOIN (SELECT DISTINCT s_nationkey FROM supplier WHERE s_suppkey < 10) b ON c_nationkey = s_nationkey")
-def _(spark, d):
-    a = table(spark, d, "customer").filter("c_custkey < 10").select("c_nationkey").distinct()
-    b = table(spark, d, "supplier").filter("s_suppkey < 10").select("s_nationkey").distinct()
-    return a.join(b, F.col("c_nationkey") == F.col("s_nationkey"), "full")
-
-
-@registered("surface_full_join_all", "SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON floor(c_acctbal) = floor(s_acctbal)")
+@registered("surface_full_join", "SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON floor(c_acctbal) = floor(s_acctbal)")
 def _(spark, d):
     """Whole tables, matched by balance in whole units; both sides have rows without a match."""
     a, b = table(spark, d, "customer").select("c_custkey", "c_acctbal"), table(spark, d, "supplier").select("s_suppkey", "s_acctbal")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from backtrail.plans.expr import Agg, Expr, Field, Var, bag, each, group_agg, let, lit, minus, op, primitive, query, rec, rename, select, table, union, when
+from backtrail.plans.expr import Agg, Expr, Field, IsEmpty, Var, bag, each, group_agg, grouping_sets, let, lit, minus, op, outer, primitive, query, rec, rename, select, table, union, when
 from backtrail.sources.catalog import KEYS, TIES, Catalog
 
 x, y, z = Var("x"), Var("y"), Var("z")
@@ -171,3 +171,80 @@ def unnested(nested: DataFrame) -> DataFrame:
     return lines.select(F.concat_ws(".", "c", "o", "l.lbl").alias("lbl"), F.col("c_name").alias("name"), "status", F.col("l.l_quantity").alias("quantity"))
 
 
+
+
+# --- nested results ----------------------------------------------------------------------------------------------------
+
+
+def nested_customers() -> Expr:
+    """Customers with a bag of their orders, each with a bag of its lines."""
+    c, o, ln = Var("c"), Var("o"), Var("l")
+    lines = each("l", table("lineitem"), when(f(ln, "l_orderkey").eq(f(o, "o_orderkey")), bag(rec(quantity=f(ln, "l_quantity")))))
+    orders = each("o", table("orders"), when(f(o, "o_custkey").eq(f(c, "c_custkey")), bag(rec(status=f(o, "o_orderstatus"), lines=lines))))
+    return each("c", table("customer"), bag(rec(name=f(c, "c_name"), orders=orders)))
+
+
+def talks_catalog(spark: SparkSession, sf_dir: str) -> Catalog:
+    """Conversations' turns, and their ids as a table of its own."""
+    cat = catalog(spark, sf_dir, "conversations")
+    return cat.register("talks", spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id").distinct(), ["conv_id"])
+
+
+def talks() -> Expr:
+    """Conversations with a bag of their turns."""
+    v, t = Var("v"), Var("t")
+    turns = each("t", table("conversations"), when(f(t, "conv_id").eq(f(v, "conv_id")), bag(rec(turn=f(t, "turn"), role=f(t, "role")))))
+    return each("v", table("talks"), bag(rec(conv=f(v, "conv_id"), turns=turns)))
+
+
+# --- further queries ---------------------------------------------------------------------------------------------------
+
+
+def exchange() -> Expr:
+    """The exchange by a conditional whose branches are whole records: what a trace records of it can flip."""
+    d, t = f(x, "l_discount"), f(x, "l_tax")
+    return each("x", table("lineitem"), when(d < t, bag(rec(A=d, B=t, C=f(x, "l_quantity"))), bag(rec(A=t, B=d, C=f(x, "l_quantity")))))
+
+
+def balances_by_nation() -> Expr:
+    """Largest, smallest and mean balance of a nation's customers."""
+    value = lambda b: op("cents", f(b, "c_acctbal"))
+    return group_agg(table("nation"), table("customer"), lambda a, b: f(a, "n_nationkey").eq(f(b, "c_nationkey")), lambda a: {"name": f(a, "n_name")}, {"most": ("max", value), "least": ("min", value), "mean": ("avg", value)})
+
+
+def balances_below() -> Expr:
+    """Balances of all customers of nations with a smaller key: an aggregate that correlates by an order."""
+    inner = each("y", table("customer"), when(f(y, "c_nationkey") < f(x, "n_nationkey"), bag(rec(v=op("cents", f(y, "c_acctbal"))))))
+    return each("x", table("nation"), bag(rec(name=f(x, "n_name"), cents=Agg("sum", inner))))
+
+
+def nations_without() -> Expr:
+    """Nations, and whether none of their customers is in debt: an emptiness test in a head."""
+    debt = each("y", table("customer"), when(f(y, "c_nationkey").eq(f(x, "n_nationkey")) & (f(y, "c_acctbal") < 0), bag(rec(one=lit(1)))))
+    return each("x", table("nation"), bag(rec(name=f(x, "n_name"), clear=IsEmpty(debt))))
+
+
+def rich_without_orders(status: str = "F") -> Expr:
+    """Customers with a positive balance and no order of a status: an emptiness test inside a conjunction."""
+    none = IsEmpty(each("y", table("orders"), when(f(y, "o_custkey").eq(f(x, "c_custkey")) & f(y, "o_orderstatus").eq(status), bag(rec(one=lit(1))))))
+    return each("x", table("customer"), when((f(x, "c_acctbal") > 0) & none, bag(rec(A=f(x, "c_name")))))
+
+
+def customers_and_suppliers() -> Expr:
+    """Customers with the suppliers of their nation that have a high balance; those without any, too."""
+    on = lambda a, b: f(a, "c_nationkey").eq(f(b, "s_nationkey")) & (f(b, "s_acctbal") > 8000)
+    return outer(table("customer"), table("supplier"), on, lambda a, b: {"A": f(a, "c_name"), "B": f(b, "s_name")}, lambda a: {"A": f(a, "c_name")})
+
+
+def customer_groupings() -> Expr:
+    """Customers counted by nation, by region, and in all."""
+    by_nation = (table("nation"), lambda a, b: f(a, "n_nationkey").eq(f(b, "c_nationkey")), lambda a: {"nation": f(a, "n_nationkey")})
+    by_sign = (table("sign"), lambda a, b: f(a, "negative").eq(f(b, "c_acctbal") < 0), lambda a: {"negative": f(a, "negative")})
+    overall = (table("one"), lambda a, b: f(a, "unit").eq(0), lambda a: {})
+    return grouping_sets(table("customer"), [by_nation, by_sign, overall], {"n": ("count", lambda b: f(b, "c_custkey"))})
+
+
+def groupings_catalog(spark: SparkSession, sf_dir: str) -> Catalog:
+    cat = one_catalog(spark, sf_dir, "nation", "customer")
+    cat.tables["sign"] = spark.createDataFrame([(False, 0), (True, 1)], "negative boolean, _l0 long")
+    return cat

@@ -24,7 +24,7 @@ def test_full_join_covers_both_tables(spark):
     from backtrail.surface_queries import QUERIES
 
     d = "/root/testdata/sf0.01"
-    rows = QUERIES["surface_full_join_all"](spark, d).collect()
+    rows = QUERIES["surface_full_join"](spark, d).collect()
     assert len({r["c_custkey"] for r in rows} - {None}) == spark.read.parquet(f"{d}/customer.parquet").count()
     assert len({r["s_suppkey"] for r in rows} - {None}) == spark.read.parquet(f"{d}/supplier.parquet").count()
     assert any(r["c_custkey"] is None for r in rows) and any(r["s_suppkey"] is None for r in rows)
@@ -34,4 +34,4 @@ def test_interval_join_covers_all_parts(spark):
     from backtrail.surface_queries import QUERIES
 
     d = "/root/testdata/sf0.01"
-    assert QUERIES["surface_interval_join_all"](spark, d).count() == spark.read.parquet(f"{d}/part.parquet").count()
+    assert QUERIES["surface_interval_join"](spark, d).count() == spark.read.parquet(f"{d}/part.parquet").count()

@@ -6,11 +6,11 @@ import os
 import duckdb
 import pytest
 
-from backtrail import queries, surface_queries
+from backtrail import deep_queries, queries, surface_queries
 
 SMALL = "/root/testdata/sf0.001"
-ALL = queries.QUERIES | surface_queries.QUERIES
-SQL = queries.SQL | surface_queries.SQL
+ALL = queries.QUERIES | deep_queries.QUERIES | surface_queries.QUERIES
+SQL = queries.SQL | deep_queries.SQL | surface_queries.SQL
 
 
 @pytest.fixture(scope="module")

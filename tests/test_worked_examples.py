@@ -149,5 +149,5 @@ def test_texts_and_types_of_runs(cat, tmp_path):
     assert stored_bytes(run, str(tmp_path / "t")) > 0 and stored_bytes(trace(SELECT, cat), str(tmp_path / "u")) == 0
     inner, outer = Target.cells(run, {"12": []}), Target.cells(run, {"12": ["B"]})
     assert render_diff(inner, outer) == "∪{if (x.B = 3) then {<A: □, B: [x.C]>} else □ | x ∈ R}"
-    hit, total = probe_precision(run, outer)
-    assert 0 < hit <= total == 2
+    found = probe_precision(run, outer)
+    assert 0 < found["changing"] <= found["probed"] == found["kept"] == 2
