@@ -31,7 +31,7 @@ def plain_kept(rows):
     return sorted(i for i in root if root[i] == i)
 
 
-@pytest.mark.parametrize("sf", ["sf0.001", "sf0.01"])
+@pytest.mark.parametrize("sf", ["sf0.01"])
 def test_stage_keeps_what_all_pairs_keep(spark, sf):
     docs = spark.read.parquet(f"/root/testdata/{sf}/documents.parquet")
     kept = corpus_pipeline.drop_near_copies(spark, docs, None)
