@@ -127,7 +127,7 @@ def test_nested_replay_against_rules(spark, name):
     e, env, cat = queries(rng)[name], environment(small), Catalog.of_rows(spark, **small)
     _, whole = spec.run(e, env)
     run = nested.trace_nested(e, cat)
-    for _ in range(4):
+    for _ in range(2):
         t = rng.choice(list(small))
         label, column, v = rng.choice(list(small[t][1])), rng.choice(small[t][0]), rng.randint(0, 3)
         new = dict(env[t].elems)
