@@ -93,3 +93,18 @@ def test_filled_holes_do_not_multiply_other_elements(spark):
     found = checks.target_violations(let, target, changed)
     assert found.count() == 0
     assert "IN" in found._jdf.queryExecution().optimizedPlan().toString() or "Filter" in found._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_slice_of_an_outer_join_without_lone_elements(spark, tmp_path):
+    """Where every customer has a partner, the query says what its SQL says."""
+    from backtrail.deep_queries import QUERIES, SQL
+    import duckdb
+
+    spark.read.parquet(f"{SMALL}/customer.parquet").write.parquet(str(tmp_path / "customer.parquet"))
+    spark.range(25).select(F.col("id").alias("s_suppkey"), F.lit("s").alias("s_name"), F.col("id").cast("int").alias("s_nationkey"), F.lit(9000.0).alias("s_acctbal")).write.parquet(str(tmp_path / "supplier.parquet"))
+    con = duckdb.connect()
+    for name in ("customer", "supplier"):
+        con.execute(f"CREATE VIEW {name} AS SELECT * FROM '{tmp_path}/{name}.parquet/*.parquet'")
+    expected = sorted(map(repr, con.execute(SQL["slice_outer"]).fetchall()))
+    found = QUERIES["slice_outer"](spark, str(tmp_path)).select("source_table", "lbl", "column").collect()
+    assert sorted(repr(tuple(r)) for r in found) == expected != []
