@@ -89,3 +89,10 @@ def test_full_traces_of_products_are_described_over_what_was_written(spark):
     small.cat.tables["supplier"] = cat["supplier"].withColumn("s_nationkey", F.lit(99))
     after = {t: sorted(map(tuple, d.labelled().collect())) for t, d in slice_inputs(small, Target.cells(small, {first_labels(small)[0]: ["A"]}).closed()).items()}
     assert before == after and sorted(map(tuple, trace_rows(small, "full").collect())) == listed
+
+
+def test_sub_codes_of_several_lengths(spark):
+    inner, outer = labels(spark, (1, 5), (2,), (3, 4, 5), (7,), (3,)), labels(spark, (1,), (2,), (3, 4))
+    assert sorted(tuple(r["label"]) for r in sub_code_violations(inner, outer).collect()) == [(3,), (7,)]
+    plans = sub_code_violations(inner, outer)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plans  # no label is spread over its beginnings
