@@ -108,3 +108,17 @@ def test_slice_of_an_outer_join_without_lone_elements(spark, tmp_path):
     expected = sorted(map(repr, con.execute(SQL["slice_outer"]).fetchall()))
     found = QUERIES["slice_outer"](spark, str(tmp_path)).select("source_table", "lbl", "column").collect()
     assert sorted(repr(tuple(r)) for r in found) == expected != []
+
+
+def test_differences_of_one_generator(spark):
+    """Elements that go, come, change or change branch; a plan without a second reading for groups."""
+    cat = w.catalog(spark, SMALL, "lineitem")
+    new = cat["lineitem"].filter("l_orderkey < 9").withColumn("_l0", F.col("_l0") + 10_000_000)
+    changed = cat["lineitem"].filter("l_orderkey % 5 <> 0").withColumn("l_quantity", F.when(F.col("l_orderkey") % 3 == 0, F.lit(3.0)).otherwise(F.col("l_quantity")))
+    other = cat.replaced("lineitem", changed.withColumn("l_extendedprice", F.when(F.col("l_orderkey") % 2 == 0, F.lit(None)).otherwise(F.col("l_extendedprice"))).unionByName(new))
+    run = trace(w.selection(), cat)
+    a, b = run.value(), trace(w.selection(), other).value()
+    assert rows(differences.rows(run.blocks, cat, other)) == rows(a.exceptAll(b).unionByName(b.exceptAll(a)).select("lbl").distinct()) != []
+    assert rows(differences.labels(run.blocks, cat, other)) == rows(a.select("lbl").join(b, "lbl", "left_anti")) != []
+    found = differences.rows(run.blocks, cat, other)._jdf.queryExecution().optimizedPlan().toString()
+    assert found.count("Relation [") <= 3
