@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from backtrail.llm import near_copies
@@ -67,3 +68,41 @@ def test_a_family_of_edits_hangs_together(spark):
     found = sorted(r["doc_id"] for r in kept.collect())
     assert plain_kept(rows) == [7]  # at 0.81 about one pair in seventy shares no anchor, and these edits have no other partner
     assert found[0] == 7 and len(found) <= 6
+
+
+def edits(rng, length, many, changed):
+    base = [f"w{rng.randrange(10**6)}" for _ in range(length)]
+    for i in range(many):
+        words = list(base)
+        for k in rng.sample(range(length), rng.randrange(1, changed)):
+            words[k] = f"e{i}x{k}"
+        yield " ".join(words)
+
+
+@pytest.mark.parametrize("tiles", [1, 3])
+def test_an_anchor_is_settled_by_fewer_links_than_members(tiles):
+    """Members that are partly similar: a forest joins what all pairs join, also when blocks of members are read two at a time."""
+    texts = list(edits(random.Random(4), 120, 90, 9))
+    sets = [near_copies.shingles(t) for t in texts]
+    words, ids = np.stack([near_copies.fingerprint(s) for s in sets]).view(np.uint64), np.arange(len(texts))
+    found = []
+    for i in range(tiles):
+        for j in range(i, tiles):
+            at = ids[np.isin(ids % tiles, (i, j))]
+            part = near_copies.settle(at, at, at % tiles, words[at], [sets[k] for k in at])
+            assert len(part) < len(at)
+            found += part
+    assert all(near_copies.alike(sets[u], sets[v]) for u, v in found)
+    root = list(ids)
+    for u, v in found * len(ids):
+        root[u] = root[v] = min(root[u], root[v])
+    kept = plain_kept(list(zip(ids.tolist(), texts)))
+    assert 1 < len(kept) < len(ids) and sorted({int(r) for r in root}) == kept
+
+
+def test_tiles_of_an_anchor_keep_the_same(spark, monkeypatch):
+    rows = list(enumerate(edits(random.Random(4), 120, 60, 9)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    whole = sorted(r["doc_id"] for r in near_copies.keep_one(df).collect())
+    monkeypatch.setattr(near_copies, "TILE", 7)
+    assert sorted(r["doc_id"] for r in near_copies.keep_one(df).collect()) == whole
