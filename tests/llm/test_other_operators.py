@@ -77,6 +77,40 @@ def test_mix_in_training_order(corpus, docs, none):
     assert mixing.mix(none).count() == 0 and mixing.plan(none).count() == 0
 
 
+@pytest.mark.parametrize("which", ["docs", "corpus"])
+def test_dealt_texts_make_up_the_account(which, request):
+    """The mix is dealt out in training order, the last copy of a source cut to its words, and documents are counted in its texts."""
+    df = request.getfixturevalue(which)
+    dealt = [r.asDict() for r in mixing.deal(df).collect()]
+    positions = [r["position"] for r in dealt if r["position"] is not None]
+    assert positions == sorted(positions) and [r["position"] for r in dealt[len(dealt) - len(positions) :]] == positions
+    given, totals, cut = {}, Counter(), 0
+    for r in df.collect():
+        given.setdefault(r["doc_id"], []).append(r["text"] or "")
+    for r in dealt:
+        assert (r["text"] is None) == (r["position"] is None)
+        if r["text"] is not None:
+            assert any(t.startswith(r["text"]) for t in given[r["id"]])
+            totals[r["source"]] += words(r["text"])
+            cut += words(r["text"]) < r["size"]
+    assert all(abs(totals[r["source"]] - r["target"]) <= 1 for r in dealt) and cut <= len(totals)
+    planned = mixing.plan(df).select("doc_id", "size", "source_size", "target", "taken", "positions")
+    assert sorted(map(tuple, mixing.account(mixing.deal(df)).collect()), key=repr) == sorted(map(tuple, planned.collect()), key=repr)
+
+
+def test_the_query_counts_what_is_dealt(spark, monkeypatch):
+    dealt, real = [], mixing.deal
+    monkeypatch.setattr(mixing, "deal", lambda df: dealt.append(real(df)) or dealt[-1].filter("position is null"))
+    found = queries.op2_mixing(spark, SMALL).collect()
+    assert dealt and all(r["taken"] == 0 and r["positions"] == [] for r in found)
+
+
+def test_first_words_end_with_a_word(spark):
+    rows = [(" a \tbb\n\ncc ", 2, " a \tbb"), ("a b", 2, "a b"), ("\U0001f389 \u00e9 x", 1, "\U0001f389"), ("a b", 0, "")]
+    df = spark.createDataFrame(rows, "t string, n int, wanted string")
+    assert [r[0] for r in df.select(mixing.first_words(F.col("t"), F.col("n"))).collect()] == [r[2] for r in rows]
+
+
 def test_positions_invert_the_demand(spark):
     for schedule in mixing.SCHEDULES:
         df = spark.range(101).select((F.col("id") / 100).alias("u"))
