@@ -3,6 +3,7 @@
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from backtrail.llm import near_copies
@@ -106,3 +107,27 @@ def test_tiles_of_an_anchor_keep_the_same(spark, monkeypatch):
     whole = sorted(r["doc_id"] for r in near_copies.keep_one(df).collect())
     monkeypatch.setattr(near_copies, "TILE", 7)
     assert sorted(r["doc_id"] for r in near_copies.keep_one(df).collect()) == whole
+
+
+@pytest.mark.parametrize("gathered", [1 << 18, 40])
+@pytest.mark.parametrize("size", [1000, 7, 1])
+def test_a_component_of_an_anchor_is_one_row(monkeypatch, size, gathered):
+    """However many members it has; batches may end within a set's anchors."""
+    monkeypatch.setattr(near_copies, "GATHERED", gathered)
+    rng, rows, wanted = random.Random(2), [], {}
+    for fp in range(60):
+        root, n = fp % 3 if fp < 50 else fp, 1 + fp % 5
+        rows.append((fp, None, root, n))
+        for anchor in sorted(rng.sample(range(12), rng.randrange(9))):
+            rows.append((fp, anchor, None, None))
+            count, total = wanted.get((anchor, root), (0, 0))
+            wanted[anchor, root] = count + 1, total + n
+    batch = pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], ["fp", "anchor", "root", "n"])
+    parts = list(near_copies._gathering(iter([batch.slice(i, size) for i in range(0, len(rows), size)])))
+    found, out = {}, 0
+    for anchor, root, members, n in (r.values() for part in parts for r in part.to_pylist()):
+        count, total = found.get((anchor, root), (0, 0))
+        found[anchor, root], out = (count + members, total + n), out + 1
+    assert found == wanted
+    assert out == len(wanted) < sum(a is not None for _, a, _, _ in rows) or gathered == 40
+    assert list(near_copies._gathering(iter([]))) == []
