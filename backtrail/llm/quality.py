@@ -86,20 +86,20 @@ def measures(text: Column, weights: Column) -> Column:
         _dup_lines(whole).cast("long").alias("n_dup_lines"),
     ]
 
-    def counted(codes: Column, pairs: Column) -> Column:
+    def counted(codes: Column, pairs: Column, weights: Column) -> Column:
         parts = [F.size(codes).cast("long").alias("n_words"), repeated_words(codes, pairs).cast("long").alias("n_repeat_words"), _weight(codes, pairs, weights).alias("weight")]
         return F.struct(*parts)
 
-    return F.struct(*fields, let(_codes(words(whole)), lambda codes: let(_pairs(codes), lambda pairs: counted(codes, pairs))).alias("counted"))
+    return F.struct(*fields, let(weights, lambda w: let(_codes(words(whole)), lambda codes: let(_pairs(codes), lambda pairs: counted(codes, pairs, w)))).alias("counted"))
 
 
 def score(text: Column, weights: Column) -> Column:
     """Length-normalised log-likelihood ratio alone; null without words."""
 
-    def scored(codes: Column, pairs: Column) -> Column:
+    def scored(codes: Column, pairs: Column, weights: Column) -> Column:
         return F.when(F.size(codes) > 0, _weight(codes, pairs, weights) / (F.lit(float(UNIT)) * (2 * F.size(codes) - 1)))
 
-    return let(_codes(words(F.coalesce(text, F.lit("")))), lambda codes: let(_pairs(codes), lambda pairs: scored(codes, pairs)))
+    return let(weights, lambda w: let(_codes(words(F.coalesce(text, F.lit("")))), lambda codes: let(_pairs(codes), lambda pairs: scored(codes, pairs, w))))
 
 
 def _sample(labels: DataFrame, id_col: str) -> DataFrame:
@@ -148,6 +148,14 @@ def _literal(weights: list[int]) -> Column:
     return F.from_json(F.lit(str(weights)), "array<bigint>")
 
 
+def _with_constant(df: DataFrame, name: str, value: list, kind: str) -> DataFrame:
+    """``df`` with a constant column, as a subquery that plans name by a number.
+
+    A literal is written out (150 kB for a bucket table) wherever it stands in a plan, each time that the driver describes the plan.
+    """
+    return df.withColumn(name, df.sparkSession.createDataFrame([(value,)], f"value {kind}").scalar())
+
+
 class QualityRules:
     """Weights and threshold of a corpus; :meth:`verdicts` applies them to any rows."""
 
@@ -163,20 +171,18 @@ class QualityRules:
         marked = df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).join(F.broadcast(ids), F.col("__id") == F.col("__labelled"))
         # One row per labelled id, whatever repeats in the corpus; scored by what the other folds know.
         texts = marked.groupBy("__labelled", "__good", "__fold").agg(F.min("__text").alias("__text"))
-        weights = F.lit(None).cast("array<bigint>")
-        for k, own in enumerate(folds):
-            others = bucket_weights(raw, [t - o for t, o in zip(total, own)])
-            weights = F.when(F.col("__fold") == k, _literal(others)).otherwise(weights)
-        scored = texts.select("__good", score(F.col("__text"), weights).alias("score"))
+        others = [bucket_weights(raw, [t - o for t, o in zip(total, own)]) for own in folds]
+        texts = _with_constant(texts, "__weights", others, "array<array<bigint>>")
+        scored = texts.select("__good", score(F.col("__text"), F.get("__weights", "__fold")).alias("score"))
         found = [(r[0], r[1]) for r in scored.filter("score is not null").collect()]
         return cls(bucket_weights(raw, total), best_threshold([s for g, s in found if g > 0], [s for g, s in found if g <= 0]))
 
-    def _weights(self) -> Column:
-        return _literal(self.weights)
-
     def score(self, text: Column) -> Column:
-        """Length-normalised log-likelihood ratio; null without words."""
-        return score(text, self._weights())
+        """Length-normalised log-likelihood ratio; null without words.  Weights stand in the column as a literal."""
+        return score(text, _literal(self.weights))
+
+    def _weighted(self, df: DataFrame) -> DataFrame:
+        return _with_constant(df, "__weights", self.weights, "array<bigint>")
 
     @staticmethod
     def _score(m: Column) -> Column:
@@ -185,7 +191,8 @@ class QualityRules:
 
     def verdicts(self, df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
         """``(id_col, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, score)`` of every row."""
-        return df.select(F.col(id_col).alias(id_col), let(measures(F.col(text_col), self._weights()), self._verdict).alias("v")).select(id_col, "v.*")
+        measured = let(measures(F.col(text_col), F.col("__weights")), self._verdict)
+        return self._weighted(df).select(F.col(id_col).alias(id_col), measured.alias("v")).select(id_col, "v.*")
 
     def _verdict(self, m: Column) -> Column:
         counted = m["counted"]
@@ -198,4 +205,4 @@ class QualityRules:
 
     def keep(self, df: DataFrame, text_col: str = "text") -> DataFrame:
         """The kept rows of ``df``, all columns."""
-        return df.filter(let(measures(F.col(text_col), self._weights()), self._verdict)["kept"])
+        return self._weighted(df).filter(let(measures(F.col(text_col), F.col("__weights")), self._verdict)["kept"]).drop("__weights")

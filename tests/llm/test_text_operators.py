@@ -98,6 +98,16 @@ def test_quality_threshold():
     assert quality.best_threshold([1.0, 1.0], [1.0]) == 1.0  # ties: everything stays
 
 
+def test_quality_weights_are_not_written_out_in_plans(docs):
+    rules = quality.QualityRules([7_654_321] * quality.BUCKETS, 0.0)
+    for df in (rules.verdicts(docs), rules.keep(docs)):
+        assert "7654321" not in df._jdf.queryExecution().toString()
+    found = {(r["n_words"], r["score"]) for r in rows(rules.verdicts(docs)) if r["n_words"]}
+    assert found and {s for _, s in found} == {7_654_321 / quality.UNIT}
+    kept = sorted((r["doc_id"], r["text"]) for r in rows(rules.keep(docs)) if r["doc_id"] is not None)
+    assert rules.keep(docs).columns == docs.columns and {i for i, _ in kept} == {r["doc_id"] for r in rows(rules.verdicts(docs)) if r["kept"] and r["doc_id"] is not None}
+
+
 # --- tokens ------------------------------------------------------------------------------------------------------------
 
 
