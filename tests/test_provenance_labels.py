@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from backtrail import workloads as w
+from backtrail import queries, workloads as w
 from backtrail.operators import provenance
 from backtrail.operators.runs import trace
 
@@ -37,3 +37,29 @@ def test_repeated_or_absent_labels_are_still_compared(spark):
         made = rows(provenance.lineage(run))
         assert len(made) == len(set(made))
     assert rows(provenance.lineage(trace(w.join(), twice))) == rows(provenance.lineage(trace(w.join(), cat)))
+
+
+def spread_over_tasks(df):
+    tasks = df.groupBy(F.spark_partition_id().alias("t")).count().collect()
+    return len(tasks) > 1 and max(r["count"] for r in tasks) < 0.5 * sum(r["count"] for r in tasks)
+
+
+def above_the_join(df):
+    text = df._jdf.queryExecution().optimizedPlan().toString()
+    return text[: text.index("Join")]
+
+
+def test_lineage_puts_labels_together_in_several_tasks(spark):
+    """Labels become text once an element, before the join; a small file's pairs are not left to one task."""
+    made = queries.QUERIES["lineage_join"](spark, "/root/testdata/sf0.1")
+    assert spread_over_tasks(made)
+    assert "cast(" not in above_the_join(made)
+
+
+def test_lineage_of_other_runs_is_the_same(spark):
+    """A run with a written result, one block over one table, and a union's branches, which are compared."""
+    cat = w.catalog(spark, SMALL, "customer", "supplier", "lineitem", "part")
+    for query in (w.join(), w.selection(), w.projection_and_constant()):
+        made = [rows(provenance.lineage(trace(query, cat, mode))) for mode in ("on_demand", "lazy", "eager")]
+        assert made[0] and made[0] == made[1] == made[2]
+    assert rows(provenance.lineage(trace(w.selection(), cat))) == sorted((r["lbl"], "lineitem", r["lbl"]) for r in trace(w.selection(), cat).value().collect())
