@@ -63,3 +63,27 @@ def test_lineage_of_other_runs_is_the_same(spark):
         made = [rows(provenance.lineage(trace(query, cat, mode))) for mode in ("on_demand", "lazy", "eager")]
         assert made[0] and made[0] == made[1] == made[2]
     assert rows(provenance.lineage(trace(w.selection(), cat))) == sorted((r["lbl"], "lineitem", r["lbl"]) for r in trace(w.selection(), cat).value().collect())
+
+
+def test_what_survives_is_looked_up_once_an_element_in_several_tasks(spark):
+    made = queries.QUERIES["how_delete_join"](spark, "/root/testdata/sf0.1")
+    assert spread_over_tasks(made)
+    assert "cast(" not in above_the_join(made) and "LeftAnti" not in above_the_join(made)
+
+
+def test_what_survives_in_other_runs(spark):
+    """Elements of either table, none, and all; written results; several elements of one table, which are compared."""
+    cat = w.catalog(spark, SMALL, "customer", "supplier", "nation")
+    named = lambda df: df.select(F.col("_l0").cast("string").alias("source"))
+    for mode in ("on_demand", "eager"):
+        run = trace(w.join(), cat, mode)
+        whole = rows(run.value().select("lbl"))
+        for table, place in (("customer", 0), ("supplier", 1)):
+            for cond in ("_l0 % 3 = 0", "false", "true"):
+                gone = {r["source"] for r in named(cat[table].filter(cond)).collect()}
+                left = provenance.how_delete(run, table, named(cat[table].filter(cond)))
+                assert rows(left) == [r for r in whole if r[0].split(".")[place] not in gone], (mode, table, cond)
+        assert rows(provenance.how_delete(run, "nation", named(cat["nation"]))) == whole
+    run = trace(w.region_pairs(), cat)
+    left = provenance.how_delete(run, "nation", named(cat["nation"].filter("_l0 % 2 = 0")))
+    assert rows(left) == [r for r in rows(run.value().select("lbl")) if all(int(x) % 2 for x in r[0].split("."))]
