@@ -87,3 +87,20 @@ def test_what_survives_in_other_runs(spark):
     run = trace(w.region_pairs(), cat)
     left = provenance.how_delete(run, "nation", named(cat["nation"].filter("_l0 % 2 = 0")))
     assert rows(left) == [r for r in rows(run.value().select("lbl")) if all(int(x) % 2 for x in r[0].split("."))]
+
+
+def test_graph_is_put_together_in_several_tasks(spark):
+    made = queries.QUERIES["graph_join"](spark, "/root/testdata/sf0.1")
+    assert spread_over_tasks(made)
+    assert "cast(" not in above_the_join(made)
+
+
+def test_graph_of_other_runs_is_the_same(spark):
+    """Written results, one table, and a union's branches, which are compared."""
+    cat = w.catalog(spark, SMALL, "customer", "supplier", "lineitem", "part")
+    for query in (w.join(), w.selection(), w.projection_and_constant()):
+        made = [rows(provenance.export_graph(trace(query, cat, mode))) for mode in ("on_demand", "eager")]
+        assert made[0] and made[0] == made[1]
+    labels = [r["lbl"] for r in trace(w.selection(), cat).value().collect()]
+    expected = [(f"result:{x}", "generated_by", f"step0:{x}") for x in labels] + [(f"step0:{x}", "used", f"lineitem:{x}") for x in labels]
+    assert rows(provenance.export_graph(trace(w.selection(), cat))) == sorted(expected)
